@@ -21,7 +21,8 @@ from pyspark.sql import functions as F
 from supportbounds.llm.common import keep, new_folder, text_of
 
 ROCKSDB = "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"
-_PROVIDER = "spark.sql.streaming.stateStore.providerClass"
+#: The store, and no space set aside for files that stay small (each partition of the state has its own).
+_STORE = {"spark.sql.streaming.stateStore.providerClass": ROCKSDB, "spark.sql.streaming.stateStore.rocksdb.allowFAllocate": "false"}
 #: Bits of the bitmap are in rows of 32,768; so many rows at most: 16 MB in all, whatever the input.
 _BITMAP_ROWS = 4096
 
@@ -48,13 +49,15 @@ def update_state(
         # written by batch number: a batch that is repeated after a failure replaces its own files
         batch.write.mode("overwrite").option("compression", "zstd").parquet(f"{changes}/batch={number}")
 
-    before = spark.conf.get(_PROVIDER)
-    spark.conf.set(_PROVIDER, ROCKSDB)
+    before = {k: spark.conf.get(k, None) for k in _STORE}
+    for k, v in _STORE.items():
+        spark.conf.set(k, v)
     try:
         query = entries.writeStream.outputMode("update").foreachBatch(add).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
         query.awaitTermination()
     finally:
-        spark.conf.set(_PROVIDER, before)
+        for k, v in before.items():
+            spark.conf.unset(k) if v is None else spark.conf.set(k, v)
 
 
 def state(spark: SparkSession, changes: str) -> DataFrame:
