@@ -71,17 +71,15 @@ def sigmas(sets: DataFrame, supports: DataFrame, n: int, max_depth: int | None =
     _check(n)
     depth = n if max_depth is None else min(max_depth, n)
     held = _with_subsets(sets, supports, n, depth).groupBy("items").agg(F.map_from_entries(F.collect_list(F.struct("mask", "s"))).alias("by_mask"))
-    df = held.withColumn("g", F.transform(F.sequence(F.lit(0), F.lit((1 << n) - 1)), lambda m: F.coalesce(F.element_at("by_mask", m), F.lit(0).cast("long"))))
-    for bit in range(n):
-        df = df.withColumn("g", _pass(bit))
+    start = F.transform(F.sequence(F.lit(0), F.lit((1 << n) - 1)), lambda m: F.coalesce(F.element_at("by_mask", m), F.lit(0).cast("long")))
+    sums = F.aggregate(F.sequence(F.lit(0), F.lit(n - 1)), start, _subtract_with)
     sign = lambda g, m: F.when(n - F.bit_count(m) > depth, None).when((n - F.bit_count(m)) % 2 == 0, -g).otherwise(g)
-    return df.select("items", F.transform("g", sign).alias("sigma"))
+    return held.select("items", F.transform(sums, sign).alias("sigma"))
 
 
-def _pass(bit: int) -> Column:
-    """Subtracts from each entry without the bit the entry with it."""
-    g = F.col("g")
-    return F.transform(g, lambda v, m: F.when(F.getbit(m, F.lit(bit)) == 0, v - F.get(g, m + F.lit(1 << bit))).otherwise(v))
+def _subtract_with(g: Column, bit: Column) -> Column:
+    """One pass: from each entry without the bit the entry with it is taken away."""
+    return F.transform(g, lambda v, m: F.when(F.getbit(m, bit) == 0, v - F.get(g, m + F.call_function("shiftleft", F.lit(1), bit))).otherwise(v))
 
 
 def bounds(sets: DataFrame, supports: DataFrame, n: int, max_depth: int | None = None, kernel: str = "lattice") -> DataFrame:

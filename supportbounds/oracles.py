@@ -69,7 +69,7 @@ sup AS MATERIALIZED (SELECT x, k, CAST(coalesce(sum(w) FILTER ((m & x) = x), 0)
 
 def name(x: str) -> str:
     """The names of a mask's items, in order of their ids."""
-    return f"(SELECT coalesce(array_to_string(list_filter(list_transform(names, lambda z, i: CASE WHEN ({x} >> CAST(i - 1 AS INT)) & 1 = 1 THEN z END), lambda z: z IS NOT NULL), ' '), '') FROM nm)"
+    return f"(SELECT coalesce(array_to_string(list_filter(list_transform(names, lambda z, nth: CASE WHEN ({x} >> CAST(nth - 1 AS INT)) & 1 = 1 THEN z END), lambda z: z IS NOT NULL), ' '), '') FROM nm)"
 
 
 def rules(depth: int | None = None) -> str:
