@@ -241,11 +241,12 @@ def near_duplicates(docs: DataFrame, text: str = "text", key: str = "doc_id", wo
     prepared = docs.select(F.col(key).alias("__key"), text_of(docs, text).alias("__text"))
     rows = keep(with_fingerprints(prepared, "__text", words, "fp").select("__key", "fp"), "fingerprints")
     labelled = label_fingerprints(rows.select("fp"), bits, segments)
-    out = rows.join(labelled, "fp", "left").withColumn("label", F.coalesce("label", "fp"))
-    least = out.groupBy("label").agg(F.min("__key").alias("component_id"))
-    return out.join(least, "label").select(
-        F.col("__key").alias(key), F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id"
-    )
+    # one row for each fingerprint first; both sides of each join are written tables, so that Spark can split a hot key
+    own = rows.groupBy("fp").agg(F.min("__key").alias("least")).join(labelled, "fp", "left").withColumn("label", F.coalesce("label", "fp"))
+    own = keep(own, "labelled-fingerprints")
+    least = keep(own.groupBy("label").agg(F.min("least").alias("component_id")), "components-least")
+    named = keep(own.select("fp", "label").join(least, "label").select("fp", "component_id"), "fingerprint-components")
+    return rows.join(named, "fp").select(F.col("__key").alias(key), F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
 def label_fingerprints(fps: DataFrame, bits: int = 4, segments: int = 3) -> DataFrame:
