@@ -1,13 +1,15 @@
 """Quality rules: counts within a document, and lines that too many documents of a host share.
 
-Lines are normalised and hashed; for each (host, line) the distinct documents that hold it are counted. As a whole
-family of near copies says no more than one document, documents are told apart by a signature (the least
-three-word window) that edits elsewhere leave alone: a line is over the limit if more than ``max_documents``
-signatures hold it and if those are at least half of the documents that hold it. A document that keeps
-less than a fifth of its words once such lines are gone is depleted and rejected.
+Lines are normalised and hashed; for each (host, line) the documents that hold it are counted. A family of near copies
+shares nearly all its lines too, and says no more than one document; what tells it from pages around one menu is the
+rest: what stands beside a menu differs from page to page, what stands beside the shared lines of near copies is the same few lines,
+slightly edited. So a line that more than ``max_documents`` documents of a host hold is over the limit only if the
+rests beside it (the least three-word window outside such lines) are more than ``max_documents`` different ones,
+and at least half as many as the different texts that hold it. A document that keeps less than a fifth of its
+words once such lines are gone is depleted and rejected.
 
 Counts within texts are vectorised over Arrow batches; counts across documents are aggregations whose first
-step is local to each task, so a hot host or a hot line costs one row per task and signature.
+step is local to each task, so a hot host or a hot line costs one row per task and rest.
 """
 
 from __future__ import annotations
@@ -20,16 +22,17 @@ import pyarrow.compute as pc
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.types import ArrayType, LongType, StructField, StructType
+from pyspark.sql.types import ArrayType, LongType, StringType, StructField, StructType
 
 from supportbounds.llm.common import keep, text_of
 
 MIN_WORDS, MAX_REPEAT_SHARE = 50, 0.5
 MAX_DOCUMENTS, LEAST_LEFT = 10, 0.2
-STATS = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "signature")
+STATS = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")
 _IS_SYMBOL = np.zeros(256, dtype=np.int64)
 _IS_SYMBOL[np.frombuffer(b"#*$%&|<>", dtype=np.uint8)] = 1
 _SLICE = 4_000_000
+LISTS = {"lines": pa.int64(), "line_words": pa.int64(), "line_windows": pa.string()}
 
 
 def _sums(values: np.ndarray, offsets: np.ndarray) -> np.ndarray:
@@ -47,7 +50,7 @@ def _flat(lists: pa.ListArray, keep_mask: np.ndarray | None = None) -> tuple[pa.
 
 
 def measure(texts: pa.Array) -> dict[str, np.ndarray | pa.Array]:
-    """Statistics of each text of a non-null string array; ``lines`` and ``line_words`` are lists."""
+    """Statistics of each text of a non-null string array; ``lines``, ``line_words`` and ``line_windows`` are lists."""
     n = len(texts)
     split = pc.ascii_split_whitespace(texts)
     words, at = _flat(split, pc.not_equal(split.flatten(), "").to_numpy(zero_copy_only=False))
@@ -56,37 +59,18 @@ def measure(texts: pa.Array) -> dict[str, np.ndarray | pa.Array]:
     bounds = np.frombuffer(raw.buffers()[1], dtype=np.int32)[raw.offset : raw.offset + n + 1].astype(np.int64)
     data = np.frombuffer(raw.buffers()[2], dtype=np.uint8) if raw.buffers()[2] is not None else np.empty(0, np.uint8)
     out["n_symbols"] = _sums(_IS_SYMBOL[data[bounds[0] : bounds[-1]]], bounds - bounds[0])
-    out["n_repeat_words"], out["signature"] = _windows(words, at)
-    out |= _lines(texts)
+    out["n_repeat_words"] = _repeats(words, at)
+    out |= _lines(texts, words)
     return out
 
 
-def _windows(words: pa.Array, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Words inside three-word windows that occur twice or more, and the signature, for each text."""
+def _repeats(words: pa.Array, at: np.ndarray) -> np.ndarray:
+    """Words inside three-word windows that occur twice or more, for each text."""
     coded = words.dictionary_encode()
-    names = coded.dictionary.cast(pa.binary())
-    rank = np.empty(len(names), dtype=np.int64)
-    order = pc.sort_indices(names).to_numpy()
-    rank[order] = np.arange(len(names))
-    code = rank[coded.indices.to_numpy()]
-    size, n = max(1, len(names)), len(at) - 1
-    lengths = np.diff(at)
-    doc = np.repeat(np.arange(n), lengths)
-    signature = np.zeros(n, dtype=np.int64)
-    sorted_names = names.take(pa.array(order)).to_pylist()
-
-    def sign(codes: np.ndarray) -> int:
-        return xxhash.xxh64_intdigest(b" ".join(sorted_names[c] for c in codes)) - (1 << 63)
-
-    for i in np.flatnonzero((lengths > 0) & (lengths < 3)):
-        signature[i] = sign(code[at[i] : at[i + 1]])
-    if len(code) < 3:
-        return np.zeros(n, np.int64), signature
+    code, size = coded.indices.to_numpy().astype(np.int64), max(1, len(coded.dictionary))
+    doc = np.repeat(np.arange(len(at) - 1), np.diff(at))
     whole = np.flatnonzero(doc[2:] == doc[:-2])
-    pair = code[whole] * size + code[whole + 1]
-    if size >= 1 << 21:  # three codes don't fit into 63 bits: number the pairs first (in order)
-        pair = np.unique(pair, return_inverse=True)[1]
-    key = pair * size + code[whole + 2]
+    key = _triple(code[whole], code[whole + 1], code[whole + 2], size)
     order = np.argsort(key, kind="stable")  # stable: the windows of one text stay together within a key
     same = (key[order[1:]] == key[order[:-1]]) & (doc[whole[order[1:]]] == doc[whole[order[:-1]]])
     again = np.zeros(len(whole), dtype=bool)
@@ -95,18 +79,40 @@ def _windows(words: pa.Array, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     covered = np.zeros(len(code), dtype=np.int64)
     for shift in range(3):
         covered[whole[again] + shift] = 1
-    firsts = np.flatnonzero(np.r_[True, np.diff(doc[whole]) != 0]) if len(whole) else np.empty(0, np.int64)
-    if len(firsts):
-        least = np.minimum.reduceat(key, firsts)
-        owner = doc[whole[firsts]]
-        where = whole[np.flatnonzero(key == np.repeat(least, np.diff(np.r_[firsts, len(key)])))]
-        first_of = dict(zip(doc[where[::-1]].tolist(), where[::-1].tolist(), strict=True))
-        for i in owner.tolist():
-            signature[i] = sign(code[first_of[i] : first_of[i] + 3])
-    return _sums(covered, at), signature
-
-
-def _lines(texts: pa.Array) -> dict[str, np.ndarray | pa.Array]:
+    return _sums(covered, at)
+
+
+def _triple(a: np.ndarray, b: np.ndarray, c: np.ndarray, size: int) -> np.ndarray:
+    """One integer for three codes below ``size``, in their order."""
+    pair = a * size + b
+    if size >= 1 << 21:  # three codes don't fit into 63 bits: number the pairs first, in order
+        pair = np.unique(pair, return_inverse=True)[1]
+    return pair * size + c
+
+
+def _least_windows(words: pa.Array, counts: np.ndarray) -> list[str]:
+    """The least window of three words of each line (a shorter line is its own window); ``counts``: words of each line, one at least."""
+    coded = words.dictionary_encode()
+    names = coded.dictionary.cast(pa.binary())
+    order = pc.sort_indices(names).to_numpy()
+    rank = np.empty(len(names), dtype=np.int64)
+    rank[order] = np.arange(1, len(names) + 1)  # 0: no word
+    code = np.concatenate([rank[coded.indices.to_numpy()], [0, 0]])
+    starts = np.cumsum(counts) - counts
+    left = np.repeat(starts + counts, counts) - np.arange(len(code) - 2)  # words from each place to the end of its line
+    b, c = np.where(left >= 2, code[1:-1], 0), np.where(left >= 3, code[2:], 0)
+    key = _triple(code[:-2], b, c, len(names) + 1)
+    allowed = (left >= 3) | (np.repeat(counts, counts) == left)
+    key = np.where(allowed, key, np.iinfo(np.int64).max)
+    least = np.minimum.reduceat(key, starts)
+    where = np.flatnonzero(key == np.repeat(least, counts))
+    line = np.repeat(np.arange(len(counts)), counts)[where]
+    first = where[np.r_[True, line[1:] != line[:-1]]]
+    sorted_names = names.take(pa.array(order)).to_pylist()
+    return [b" ".join(sorted_names[r - 1] for r in code[p : p + min(3, n)]).decode() for p, n in zip(first.tolist(), counts.tolist(), strict=True)]
+
+
+def _lines(texts: pa.Array, words: pa.Array) -> dict[str, np.ndarray | pa.Array]:
     split = pc.split_pattern(texts, "\n")
     coded = split.flatten().dictionary_encode()
     tokens = [line.lower().split() for line in coded.dictionary.cast(pa.binary()).to_pylist()]
@@ -114,19 +120,24 @@ def _lines(texts: pa.Array) -> dict[str, np.ndarray | pa.Array]:
     hashes = np.array([xxhash.xxh64_intdigest(b" ".join(t)) for t in tokens], dtype=np.uint64).view(np.int64)
     at = split.offsets.to_numpy() - split.offsets[0].as_py()
     code = coded.indices.to_numpy()
-    doc = np.repeat(np.arange(len(texts)), np.diff(at))
+    n = len(texts)
+    doc = np.repeat(np.arange(n), np.diff(at))
     real = counts[code] > 0 if len(code) else np.zeros(0, dtype=bool)
     code, doc = code[real], doc[real]
-    pairs = doc * max(1, len(tokens)) + code
-    distinct = np.unique(pairs) // max(1, len(tokens))
-    n_dup = np.bincount(doc, minlength=len(texts)) - np.bincount(distinct, minlength=len(texts))
+    distinct = np.unique(doc * max(1, len(tokens)) + code) // max(1, len(tokens))
+    n_dup = np.bincount(doc, minlength=n) - np.bincount(distinct, minlength=n)
+    if not len(code):
+        empty = pa.array(np.zeros(n + 1, np.int32))
+        lists = {c: pa.ListArray.from_arrays(empty, pa.array([], k)) for c, k in LISTS.items()}
+        return {"n_dup_lines": n_dup, **lists}
+    windows = pa.array(_least_windows(pc.ascii_lower(words), counts[code]))
     # normalised lines of a text, each once, with the words of all its repeats
     order = np.lexsort((hashes[code], doc))
     d, h, c = doc[order], hashes[code][order], counts[code][order]
-    first = np.flatnonzero(np.r_[True, (d[1:] != d[:-1]) | (h[1:] != h[:-1])]) if len(d) else np.empty(0, np.int64)
-    per_doc = np.concatenate([[0], np.cumsum(np.bincount(d[first], minlength=len(texts)))]).astype(np.int32)
-    total = np.add.reduceat(c, first) if len(first) else np.empty(0, np.int64)
-    return {"n_dup_lines": n_dup, "lines": pa.ListArray.from_arrays(pa.array(per_doc), pa.array(h[first])), "line_words": pa.ListArray.from_arrays(pa.array(per_doc), pa.array(total))}
+    first = np.flatnonzero(np.r_[True, (d[1:] != d[:-1]) | (h[1:] != h[:-1])])
+    per_doc = pa.array(np.concatenate([[0], np.cumsum(np.bincount(d[first], minlength=n))]).astype(np.int32))
+    values = {"lines": pa.array(h[first]), "line_words": pa.array(np.add.reduceat(c, first)), "line_windows": windows.take(pa.array(order[first]))}
+    return {"n_dup_lines": n_dup, **{name: pa.ListArray.from_arrays(per_doc, v) for name, v in values.items()}}
 
 
 def slices(batch: pa.RecordBatch, column: str) -> Iterator[pa.RecordBatch]:
@@ -147,10 +158,10 @@ def with_stats(docs: DataFrame, text: str) -> DataFrame:
         for batch in batches:
             for part in slices(batch, text):
                 got = measure(part.column(text))
-                arrays = [part.column(f.name) for f in others] + [pa.array(got[s]).cast(pa.int64()) for s in STATS] + [got["lines"], got["line_words"]]
-                yield pa.RecordBatch.from_arrays(arrays, names=[*(f.name for f in others), *STATS, "lines", "line_words"])
+                arrays = [part.column(f.name) for f in others] + [pa.array(got[s]).cast(pa.int64()) for s in STATS] + [got[c] for c in LISTS]
+                yield pa.RecordBatch.from_arrays(arrays, names=[*(f.name for f in others), *STATS, *LISTS])
 
-    lists = [StructField(c, ArrayType(LongType())) for c in ("lines", "line_words")]
+    lists = [StructField(c, ArrayType(StringType() if c == "line_windows" else LongType())) for c in LISTS]
     return docs.mapInArrow(add, StructType([*others, *(StructField(s, LongType()) for s in STATS), *lists]))
 
 
@@ -158,12 +169,22 @@ def base_failed():
     return (F.col("n_words") < MIN_WORDS) | (F.col("n_repeat_words") > MAX_REPEAT_SHARE * F.col("n_words"))
 
 
-def over_limit_lines(rows: DataFrame, max_documents: int = MAX_DOCUMENTS) -> DataFrame:
-    """(host, line) of the lines that too many documents of a host hold, from rows (host, signature, lines)."""
-    held = rows.select("host", "signature", F.explode("lines").alias("line"))
-    per_family = held.groupBy("host", "line", "signature").agg(F.count("*").alias("m"))
-    per_line = per_family.groupBy("host", "line").agg(F.count("*").alias("families"), F.sum("m").alias("documents"))
-    return per_line.where((F.col("families") > max_documents) & (2 * F.col("families") >= F.col("documents"))).select("host", "line")
+def line_rows(rows: DataFrame) -> DataFrame:
+    """(row, host, text_key, line, words, window): the lines of the kept rows."""
+    zipped = rows.select("row", "host", "text_key", F.explode(F.arrays_zip(*LISTS)).alias("l"))
+    return zipped.select("row", "host", "text_key", F.col("l.lines").alias("line"), F.col("l.line_words").alias("words"), F.col("l.line_windows").alias("window"))
+
+
+def over_limit_lines(lines: DataFrame, max_documents: int = MAX_DOCUMENTS) -> DataFrame:
+    """(host, line) of the lines over the limit."""
+    common = lines.groupBy("host", "line").agg(F.count("*").alias("n")).where(F.col("n") > max_documents).select("host", "line")
+    common = keep(common, "common-lines")
+    rests = lines.join(common, ["host", "line"], "left_anti").groupBy("row").agg(F.min("window").alias("rest"))
+    held = lines.select("row", "host", "text_key", "line").join(common, ["host", "line"], "left_semi").join(rests, "row", "left")
+    different = held.select("host", "line", F.coalesce("rest", F.lit("")).alias("rest"), "text_key").distinct()
+    per_rest = different.groupBy("host", "line", "rest").agg(F.count("*").alias("texts"))
+    per_line = per_rest.groupBy("host", "line").agg(F.count("*").alias("rests"), F.sum("texts").alias("texts"))
+    return per_line.where((F.col("rests") > max_documents) & (2 * F.col("rests") >= F.col("texts"))).select("host", "line")
 
 
 def judge(docs: DataFrame, text: str = "text", key: str = "doc_id", host: str = "source", max_documents: int = MAX_DOCUMENTS, least_left: float = LEAST_LEFT) -> DataFrame:
@@ -174,14 +195,14 @@ def judge(docs: DataFrame, text: str = "text", key: str = "doc_id", host: str =
     """
     plain = docs.select(F.col(key).alias("key"), F.coalesce(F.col(host).cast("string"), F.lit("")).alias("host"), F.xxhash64(text_of(docs, text)).alias("text_key"), text_of(docs, text).alias("text"))
     rows = keep(with_stats(plain, "text").withColumn("row", F.monotonically_increasing_id()), "quality-rows")
-    frequent = keep(over_limit_lines(rows, max_documents), "frequent-lines")
-    held = rows.where(~base_failed()).select("row", "host", F.explode(F.arrays_zip("lines", "line_words")).alias("l")).select("row", "host", F.col("l.lines").alias("line"), F.col("l.line_words").alias("words"))
+    frequent = keep(over_limit_lines(line_rows(rows), max_documents), "frequent-lines")
+    held = line_rows(rows.where(~base_failed())).select("row", "host", "line", "words")
     gone = held.join(frequent, ["host", "line"]).groupBy("row").agg(F.sum("words").alias("gone"))
-    out = rows.drop("lines", "line_words").join(gone, "row", "left")
+    out = rows.drop(*LISTS).join(gone, "row", "left")
     left = F.col("n_words") - F.coalesce("gone", F.lit(0))
     failed = base_failed()
     return out.select(
-        F.col("key").alias(key), F.col("host"), *STATS[:-1], failed.alias("base_failed"), (~failed & (left >= least_left * F.col("n_words"))).alias("kept"), left.alias("n_words_left"), "text_key"
+        F.col("key").alias(key), F.col("host"), *STATS, failed.alias("base_failed"), (~failed & (left >= least_left * F.col("n_words"))).alias("kept"), left.alias("n_words_left"), "text_key"
     )
 
 
@@ -204,12 +225,16 @@ WITH d AS (SELECT doc_id, coalesce(source, '') AS host, coalesce(text, '') AS te
 ), e AS (SELECT doc_id, unnest(tri) AS t, generate_subscripts(tri, 1) AS i FROM x
 ), r AS (SELECT *, count(*) OVER (PARTITION BY doc_id, t) AS c FROM e
 ), p AS (SELECT doc_id, count(DISTINCT j) AS n FROM (SELECT doc_id, unnest([i, i + 1, i + 2]) AS j FROM r WHERE c > 1) GROUP BY doc_id
-), sig AS (SELECT doc_id, CASE WHEN len(w) < 3 THEN w ELSE list_min(tri) END AS sig FROM x
 ), l AS (SELECT doc_id, host, unnest(ls) AS raw FROM w
 ), ln AS (SELECT doc_id, host, raw, trim(regexp_replace(translate(raw, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\x20\x09-\x0D]+', ' ', 'g')) AS line FROM l
 ), lc AS (SELECT doc_id, host, line, sum(len(string_split(line, ' '))) AS words FROM ln WHERE line <> '' GROUP BY ALL
 ), dup AS (SELECT doc_id, count(*) - count(DISTINCT raw) AS n FROM ln WHERE line <> '' GROUP BY doc_id
-), f AS (SELECT host, line FROM lc JOIN sig USING (doc_id) GROUP BY host, line HAVING count(DISTINCT sig) > {MAX_DOCUMENTS} AND 2 * count(DISTINCT sig) >= count(*)
+), lw AS (SELECT *, string_split(line, ' ') AS t FROM lc
+), lm AS (SELECT doc_id, host, line, array_to_string(CASE WHEN len(t) < 3 THEN t ELSE list_min(list_transform(range(1, len(t) - 1), lambda i: [t[i], t[i + 1], t[i + 2]])) END, ' ') AS win FROM lw
+), cl AS (SELECT host, line FROM lc GROUP BY host, line HAVING count(*) > {MAX_DOCUMENTS}
+), rs AS (SELECT doc_id, min(win) AS rest FROM lm ANTI JOIN cl USING (host, line) GROUP BY doc_id
+), f AS (SELECT lc.host, lc.line FROM lc JOIN cl USING (host, line) JOIN d USING (doc_id) LEFT JOIN rs ON rs.doc_id = lc.doc_id GROUP BY ALL
+  HAVING count(DISTINCT coalesce(rest, '')) > {MAX_DOCUMENTS} AND 2 * count(DISTINCT coalesce(rest, '')) >= count(DISTINCT d.text)
 ), gone AS (SELECT doc_id, sum(words) AS n FROM lc JOIN f USING (host, line) GROUP BY doc_id
 ), b AS (
   SELECT x.doc_id, len(w) AS n_words, coalesce(list_sum(list_transform(w, lambda s: length(s))), 0) AS word_chars,
