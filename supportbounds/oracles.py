@@ -120,7 +120,6 @@ def exact_at(depth: int | None) -> str:
 
 
 def all_oracles() -> dict[str, str]:
-    one_percent = "ceil(n * 0.01 - 1e-9)"
     worked, words8, words10 = base("worked", 4, by_name=True), base("doc_word", 8), base(*WORDS)
     mined300 = words10 + rules() + mined("300")
     freq300 = words10 + rules() + mined("300") + FREQUENT
@@ -175,12 +174,15 @@ def all_oracles() -> dict[str, str]:
     for which, d in {"depth1": 1, "depth2": 2, "all": 8}.items():
         out[f"sigma_rules_{which}"] = words8 + rules() + f"\nSELECT {name('j')} AS items, {name('i')} AS base, CAST(d AS INT) AS depth, sigma FROM sig WHERE d <= {d}"
     for view in MINED_VIEWS:
-        out[f"nonderivable_{view}"] = base(view, 10) + rules() + mined(one_percent) + rows("kept", KEPT)
+        share = f"ceil(n * {VIEW_SHARES.get(view, 0.01)} - 1e-9)"
+        out[f"nonderivable_{view}"] = base(view, 10) + rules() + mined(share) + rows("kept", KEPT)
     return out
 
 
 #: Views mined at one per cent of their baskets, top ten items.
 MINED_VIEWS = ("order_attr", "order_brand", "order_part", "userday", "doc_line", "conv_word", "page_tag", "doc_label", "vec_sign", "doc_bench", "supplier_nation", "line_attr")
+#: Other shares: single parts are rare.
+VIEW_SHARES = {"order_part": 0.001}
 #: Ids of itemsets of the words view that are looked up: frequent and infrequent ones, short and long.
 LOOKED_UP = ([0], [0, 1], [8, 9], [0, 1, 2], [5, 7, 9], [0, 1, 2, 3], [6, 7, 8, 9], [0, 2, 4, 6, 8], [0, 1, 2, 3, 4, 5, 6, 7, 8, 9])
 

@@ -149,7 +149,8 @@ def _nonderivable_words(*columns: str, s: int = WORD_SUPPORT, **options) -> Quer
 def _nonderivable_view(name: str) -> Query:
     def query(spark: SparkSession, d: str) -> DataFrame:
         db = view(spark, d, name)
-        run = mine_nonderivable(db, baskets.resolve_support(0.01, db.n_baskets))
+        share = oracles.VIEW_SHARES.get(name, 0.01)
+        run = mine_nonderivable(db, baskets.resolve_support(share, db.n_baskets))
         return _named(db, run.sets, "support", "lower", "upper")
 
     return query
