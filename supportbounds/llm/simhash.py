@@ -265,4 +265,5 @@ def drop_near_duplicates(docs: DataFrame, text: str = "text", key: str = "doc_id
     # one survivor for each fingerprint first, so that the join meets no hot key
     best = light.groupBy("fp").agg(F.min("place").alias("place")).join(labelled, "fp", "left").withColumn("label", F.coalesce("label", "fp"))
     stays = keep(best.groupBy("label").agg(F.min("place").alias("place")).select(F.col("place.row").alias("__sb_row")), "survivors")
-    return rows.join(stays, "__sb_row", "left_semi").select(*docs.columns)
+    # most rows stay, so the survivors' list grows with the input: a join by sorted keys at every size
+    return rows.join(stays.hint("merge"), "__sb_row", "left_semi").select(*docs.columns)
