@@ -220,8 +220,11 @@ class Splitter:
                     border[p + 1 : stop] = False
                     border[stop] = True
                     break
-        width = 1 + (cp >= 0x80).astype(np.int64) + (cp >= 0x800) + (cp >= 0x10000)
-        at = np.concatenate([[0], np.cumsum(width)])
+        width = np.ones(n + 1, dtype=np.int8)  # of each character in UTF-8; the first entry stands for the start
+        width[0] = 0
+        for least in (0x80, 0x800, 0x10000):
+            width[1:] += cp >= least
+        at = np.cumsum(width, dtype=np.int64)
         data = joined.encode("utf-8", "surrogatepass")
         starts = np.flatnonzero(border)
         offsets = at[starts].astype(np.int32)
@@ -236,8 +239,12 @@ class Splitter:
 
 def gather(flat: np.ndarray, starts: np.ndarray, lengths: np.ndarray) -> np.ndarray:
     """flat[s : s + n] for all (s, n), in one row."""
-    before = np.cumsum(lengths) - lengths
-    return flat[np.arange(int(lengths.sum())) + np.repeat(starts - before, lengths)]
+    ends = np.cumsum(lengths)
+    total = int(ends[-1]) if len(ends) else 0
+    kind = np.int32 if max(total, len(flat)) < 1 << 31 else np.int64
+    place = np.repeat((starts - ends + lengths).astype(kind), lengths)
+    place += np.arange(total, dtype=kind)
+    return flat[place]
 
 
 class TextEncoder:
@@ -254,7 +261,7 @@ class TextEncoder:
         pieces, firsts = self.split(texts)
         coded = pieces.dictionary_encode()
         made = list(map(self.pieces.__getitem__, coded.dictionary.to_pylist()))
-        lengths = np.array(list(map(len, made)), dtype=np.int64) // 4
+        lengths = np.fromiter(map(len, made), dtype=np.int32, count=len(made)) >> 2
         which = coded.indices.to_numpy()
         each = lengths[which]
         ids = gather(np.frombuffer(b"".join(made), dtype=np.uint32), (np.cumsum(lengths) - lengths)[which], each)

@@ -17,8 +17,11 @@ from __future__ import annotations
 
 import hashlib
 import itertools
+import json
+import os
 import zlib
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
+from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
@@ -36,27 +39,28 @@ WINDOW, MASK_BITS, MAX_CHUNK = 12, 9, 4096
 _RANDOM = np.random.default_rng(20_24).integers(0, 1 << 63, size=1 << 16, dtype=np.uint64)
 
 
-def cut_points(ids: np.ndarray) -> list[int]:
-    """Ends of the chunks: after each id where the hash of the last WINDOW ids has MASK_BITS zeros on top; MAX_CHUNK ids at most.
+def marks(ids: np.ndarray) -> np.ndarray:
+    """Places after which a chunk may end: where the hash of the last WINDOW ids has MASK_BITS zeros on top."""
+    mixed = _RANDOM[ids & 0xFFFF]
+    rolling = mixed.copy()
+    for k in range(1, min(WINDOW, len(ids))):
+        rolling[k:] += mixed[:-k] << np.uint64(k)
+    return np.flatnonzero((rolling >> np.uint64(64 - MASK_BITS)) == 0) + 1
 
-    Chunks shorter than WINDOW are joined to what follows. Only the ids since the last end decide where a long chunk is cut.
+
+def cut_points(n: int, marks: list[int]) -> list[int]:
+    """Ends of the chunks of a document of ``n`` ids with the given marks.
+
+    A chunk has WINDOW ids at least (so that its mark depends on its own document alone; a rest may be shorter) and
+    MAX_CHUNK ids at most.
     """
-    n = len(ids)
-    if n == 0:
-        return []
-    mixed = _RANDOM[ids.astype(np.int64) & 0xFFFF]
-    rolling = np.zeros(n, dtype=np.uint64)
-    for k in range(min(WINDOW, n)):
-        rolling[k:] += mixed[: n - k] << np.uint64(k)
-    marks = np.flatnonzero((rolling >> np.uint64(64 - MASK_BITS)) == 0) + 1
     ends, start = [], 0
-    for mark in [*marks.tolist(), n]:
+    for mark in [*marks, n]:
         while mark - start > MAX_CHUNK:
             start += MAX_CHUNK
             ends.append(start)
-        if mark - start >= WINDOW or mark == n:
-            if mark > start:
-                ends.append(mark)
+        if mark > start and (mark - start >= WINDOW or mark == n):
+            ends.append(mark)
             start = mark
     return ends
 
@@ -72,18 +76,19 @@ def merkle_root(leaves: list[bytes]) -> bytes:
 
 def crc32_combine(first: int, second: int, second_bytes: int) -> int:
     """The crc32 of two byte strings in a row from their own: ``first`` is moved on by as many zero bytes."""
-    return _shift(first, second_bytes) ^ second
+    return _multiply(first, _power(second_bytes)) ^ second if first else second
 
 
-def _shift(crc: int, n_bytes: int) -> int:
-    """crc times x^(8 n) modulo the polynomial, by squaring."""
-    power, factor = 1 << 31, 0x80000000 >> 8  # 1 and x^8, bit-reversed
+@lru_cache(maxsize=1 << 16)
+def _power(n_bytes: int) -> int:
+    """x^(8 n) modulo the polynomial (bit-reversed), by squaring."""
+    power, factor = 1 << 31, 0x80000000 >> 8  # 1 and x^8
     while n_bytes:
         if n_bytes & 1:
             power = _multiply(power, factor)
         factor = _multiply(factor, factor)
         n_bytes >>= 1
-    return _multiply(crc, power)
+    return power
 
 
 def _multiply(a: int, b: int) -> int:
@@ -95,19 +100,48 @@ def _multiply(a: int, b: int) -> int:
     return out
 
 
-def _encoder(path: str, pattern: str):
+def _byte_letters() -> dict[int, str]:
+    """The printable letter that byte-level tokenizer files write for each byte: printable bytes as they are, the others in order from 256 on."""
+    plain = {*range(33, 127), *range(161, 173), *range(174, 256)}
+    others = (b for b in range(256) if b not in plain)
+    return {b: chr(b) for b in plain} | {b: chr(256 + i) for i, b in enumerate(others)}
+
+
+@lru_cache(maxsize=2)
+def _encoder(path: str) -> tuple[Callable[[list[str], int], tuple[np.ndarray, np.ndarray]], int]:
+    """Ids of several texts, and the largest id; loaded once per worker process, with the tables it fills.
+
+    A plain byte-level tokenizer is taken apart: texts are cut into pieces for many at once, and the
+    library's model encodes each different piece. Any other tokenizer encodes text by text.
+    """
+    os.environ["TOKENIZERS_PARALLELISM"] = "false"  # the tasks are the parallelism
     library = Tokenizer.from_file(path)
+    facts = json.loads(library.to_str())
+    cut = facts["pre_tokenizer"] or {}
+    plain = facts["normalizer"] is None and cut.get("type") == "ByteLevel" and cut.get("use_regex") and not cut.get("add_prefix_space")
     special = [t.content for t in library.get_added_tokens_decoder().values()]
-    coder = TextEncoder(lambda piece: library.encode(piece, add_special_tokens=False).ids, pattern)
+    letters, model = _byte_letters(), library.model
+    coder = TextEncoder(lambda piece: [t.id for t in model.tokenize(piece.decode("latin-1").translate(letters))])
+
+    def whole(text: str) -> np.ndarray:
+        return np.array(library.encode(text, add_special_tokens=False).ids, dtype=np.uint32)
 
-    def ids(text: str) -> list[int]:
-        # strings of special tokens are not cut by the pattern: such texts go to the library as they are
-        return library.encode(text, add_special_tokens=False).ids if any(s in text for s in special) else coder.ids(text)
+    def several(texts: list[str], end_id: int) -> tuple[np.ndarray, np.ndarray]:
+        """All ids in one row, each text's followed by the end id, and where each text's begin (and the end)."""
+        odd = [not plain or any(s in t for s in special) for t in texts]  # special tokens are found before texts are cut
+        if any(odd):
+            own = [whole(t) if o else coder.batch([t])[0] for t, o in zip(texts, odd, strict=True)]
+            ids, at = np.concatenate(own), np.concatenate([[0], np.cumsum([len(x) for x in own])])
+        else:
+            ids, at = coder.batch(texts)
+        out = np.full(len(ids) + len(texts), end_id, dtype=np.uint32)
+        out[np.arange(len(ids)) + np.repeat(np.arange(len(texts)), np.diff(at))] = ids
+        return out, at + np.arange(len(texts) + 1)
 
-    return ids
+    return several, library.get_vocab_size() - 1
 
 
-def write(docs: DataFrame, folder: str, tokenizer: str, pattern: str, end_id: int = 2, text: str = "text", key: str = "doc_id") -> None:
+def write(docs: DataFrame, folder: str, tokenizer: str, end_id: int = 2, text: str = "text", key: str = "doc_id") -> None:
     """Writes the store of ``docs``.
 
     Null texts are empty (a document of the end id alone). Rows with equal keys stay apart, in the order in which
@@ -117,32 +151,43 @@ def write(docs: DataFrame, folder: str, tokenizer: str, pattern: str, end_id: in
     plain = docs.select(F.col(key).cast("long").alias("doc_id"), F.monotonically_increasing_id().alias("row"), text_of(docs, text).alias("text"))
 
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        ids_of, seen = _encoder(tokenizer, pattern), set()
+        ids_of, most = _encoder(tokenizer)
+        seen: set[bytes] = set()
+        width = 2 if max(most, end_id) < 1 << 16 else 4  # by the vocabulary, so that equal ids have equal digests everywhere
         pack = zstandard.ZstdCompressor(level=1).compress
         for batch in batches:
             for part in slices(batch, "text"):
-                out: dict[str, list] = {c: [] for c in ("digest", "doc_id", "row", "n", "width", "payload", "recipe")}
-                for doc, row, t in zip(part.column("doc_id").to_pylist(), part.column("row").to_pylist(), part.column("text").to_pylist(), strict=True):
-                    ids = np.array([*ids_of(t), end_id], dtype=np.uint32)
-                    recipe, start = [], 0
-                    for end in cut_points(ids):
-                        chunk = ids[start:end]
-                        width = 2 if chunk.max() < 1 << 16 else 4
-                        raw = chunk.astype(f"<u{width}").tobytes()
-                        digest = hashlib.sha256(raw).digest()
+                ids, at = ids_of(part.column("text").to_pylist(), end_id)
+                raw, found = ids.astype(f"<u{width}").tobytes(), marks(ids)
+                ends = np.searchsorted(found, at, side="right").tolist()
+                bounds, found = at.tolist(), found.tolist()
+                digests, sizes, payloads, recipes, names = [], [], [], [], []
+                for i, row in enumerate(part.column("row").to_pylist()):
+                    begin, recipe, start = bounds[i], [], 0
+                    n = bounds[i + 1] - begin
+                    for end in cut_points(n, [m - begin for m in found[ends[i] : ends[i + 1]] if m < bounds[i + 1]]):
+                        chunk = raw[(begin + start) * width : (begin + end) * width]
+                        digest = hashlib.sha256(chunk).digest()
                         recipe.append(digest)
                         if digest not in seen:
                             if len(seen) > 200_000:
                                 seen.clear()
                             seen.add(digest)
-                            _row(out, digest=digest, n=end - start, width=width, payload=pack(raw))
+                            digests.append(digest)
+                            sizes.append(end - start)
+                            payloads.append(pack(chunk))
                         start = end
-                    # recipes are spread by their own digest and sorted behind nothing in particular
-                    _row(out, digest=hashlib.md5(b"%d" % row).digest(), doc_id=doc, row=row, n=len(ids), recipe=recipe)
+                    recipes.append(recipe)
+                    names.append(hashlib.md5(b"%d" % row).digest())  # recipes are only to be spread evenly
+                c, d = len(digests), part.num_rows
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array(out["digest"], pa.binary()), pa.array(out["doc_id"], pa.int64()), pa.array(out["row"], pa.int64()), pa.array(out["n"], pa.int64()), pa.array(out["width"], pa.int32()), pa.array(out["payload"], pa.binary()), pa.array(out["recipe"], pa.list_(pa.binary()))],
-                    names=list(out),
-                )
+                    [
+                        pa.array(digests + names, pa.binary()), pa.concat_arrays([pa.nulls(c, pa.int64()), part.column("doc_id")]), pa.concat_arrays([pa.nulls(c, pa.int64()), part.column("row")]),
+                        pa.array(np.concatenate([np.array(sizes, np.int64), np.diff(at)])), pa.array([width] * c + [None] * d, pa.int32()), pa.array(payloads + [None] * d, pa.binary()),
+                        pa.array([None] * c + recipes, pa.list_(pa.binary())),
+                    ],
+                    names=["digest", "doc_id", "row", "n", "width", "payload", "recipe"],
+                )
 
     def one_of_each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         previous = None
@@ -162,11 +207,6 @@ def write(docs: DataFrame, folder: str, tokenizer: str, pattern: str, end_id: in
     _write_recipes(recipes, folder)
 
 
-def _row(out: dict[str, list], **values) -> None:
-    for name, column in out.items():
-        column.append(values.get(name))
-
-
 def _write_recipes(recipes: DataFrame, folder: str) -> None:
     def number(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         part, start = TaskContext.get().partitionId(), 0
@@ -184,18 +224,21 @@ def _write_recipes(recipes: DataFrame, folder: str) -> None:
     ordered = recipes.repartitionByRange("doc_id", "row").sortWithinPartitions("doc_id", "row").mapInArrow(number, schema)
     ordered.write.option("compression", "zstd").parquet(f"{folder}/recipes")
     written = recipes.sparkSession.read.schema(schema).parquet(f"{folder}/recipes")
-    _manifest(written).write.option("compression", "zstd").parquet(f"{folder}/manifest")
+    _manifest(written, "leaf").write.option("compression", "zstd").parquet(f"{folder}/manifest")
 
 
 def leaf(doc_id: int | None, recipe: list[bytes]) -> bytes:
     return hashlib.sha256(str(doc_id).encode() + b":" + b"".join(recipe)).digest()
 
 
-def _manifest(recipes: DataFrame) -> DataFrame:
-    """part, first, documents, n_tokens, root: one row for each recipe part, with the ids that stand before it."""
+def _manifest(recipes: DataFrame, *stored: str) -> DataFrame:
+    """part, documents, n_tokens, root, first: one row for each recipe part, with the ids that stand before it.
 
-    rooted = recipes.select("part", "doc_id", "row", "n_tokens", "recipe")
-    sums = rooted.repartition("part").sortWithinPartitions("part", "doc_id", "row").mapInArrow(_roots_by_part, "part int, documents long, n_tokens long, root binary")
+    Leaves are made from ids and digests anew unless the stored column is named.
+    """
+    columns = ("part", "n_tokens", *stored) if stored else ("part", "n_tokens", "doc_id", "recipe")
+    ordered = recipes.select("row", "doc_id", *[c for c in columns if c != "doc_id"]).repartition("part").sortWithinPartitions("part", "doc_id", "row")
+    sums = ordered.select(*columns).mapInArrow(_roots_by_part, "part int, documents long, n_tokens long, root binary")
     before = F.coalesce(F.sum("n_tokens").over(Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))  # as many rows as parts
     return sums.withColumn("first", before)
 
@@ -207,12 +250,16 @@ def _roots_by_part(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch
         return pa.RecordBatch.from_arrays([pa.array([current], pa.int32()), pa.array([len(leaves)], pa.int64()), pa.array([tokens], pa.int64()), pa.array([merkle_root(leaves)], pa.binary())], names=["part", "documents", "n_tokens", "root"])
 
     for batch in batches:
-        for part, doc, n, recipe in zip(*(batch.column(c).to_pylist() for c in ("part", "doc_id", "n_tokens", "recipe")), strict=True):
+        if "leaf" in batch.schema.names:
+            own = batch.column("leaf").to_pylist()
+        else:
+            own = [leaf(d, r) for d, r in zip(batch.column("doc_id").to_pylist(), batch.column("recipe").to_pylist(), strict=True)]
+        for part, n, one in zip(batch.column("part").to_pylist(), batch.column("n_tokens").to_pylist(), own, strict=True):
             if part != current:
                 if current is not None:
                     yield done()
                 current, leaves, tokens = part, [], 0
-            leaves.append(leaf(doc, recipe))
+            leaves.append(one)
             tokens += n
     if current is not None:
         yield done()
@@ -253,18 +300,18 @@ def read_back(spark: SparkSession, folder: str) -> DataFrame:
     joined = steps.join(verified_chunks(spark, folder), "digest", "left")
     ordered = F.array_sort(F.collect_list(F.struct("at", F.coalesce("n", F.lit(0)).alias("n"), F.coalesce("crc", F.lit(0)).alias("crc"), F.coalesce("good", F.lit(False)).alias("good"))))
     whole = joined.groupBy("row").agg(ordered.alias("steps"))
+    whole = whole.select("row", F.col("steps.n").alias("n"), F.col("steps.crc").alias("crc"), F.forall("steps", lambda s: s["good"]).alias("good"))
 
     def combine(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            crcs, sizes, good = [], [], []
-            for steps in batch.column("steps").to_pylist():
-                crc = size = 0
-                for s in steps:
-                    crc, size = crc32_combine(crc, s["crc"], 4 * s["n"]), size + s["n"]
+            crcs, sizes = [], []
+            for ns, cs in zip(batch.column("n").to_pylist(), batch.column("crc").to_pylist(), strict=True):
+                crc = 0
+                for n, c in zip(ns, cs, strict=True):
+                    crc = crc32_combine(crc, c, 4 * n)
                 crcs.append(crc)
-                sizes.append(size)
-                good.append(all(s["good"] for s in steps))
-            yield pa.RecordBatch.from_arrays([batch.column("row"), pa.array(sizes, pa.int64()), pa.array(crcs, pa.int64()), pa.array(good)], names=["row", "found", "ids_crc32", "good"])
+                sizes.append(sum(ns))
+            yield pa.RecordBatch.from_arrays([batch.column("row"), pa.array(sizes, pa.int64()), pa.array(crcs, pa.int64()), batch.column("good")], names=["row", "found", "ids_crc32", "good"])
 
     sums = whole.mapInArrow(combine, "row long, found long, ids_crc32 long, good boolean")
     listed, again = manifest(spark, folder), _manifest(held)
@@ -293,9 +340,9 @@ def documents(spark: SparkSession, folder: str, wanted: DataFrame) -> DataFrame:
     return held.mapInArrow(join_up, "doc_id long, ids array<long>")
 
 
-def round_trip(docs: DataFrame, tokenizer: str, pattern: str, end_id: int = 2, text: str = "text", key: str = "doc_id") -> DataFrame:
+def round_trip(docs: DataFrame, tokenizer: str, end_id: int = 2, text: str = "text", key: str = "doc_id") -> DataFrame:
     """Writes a store into the shared folder and returns what is read back from it."""
     folder = new_folder(docs.sparkSession, "token-store")
-    write(docs, folder, tokenizer, pattern, end_id, text, key)
+    write(docs, folder, tokenizer, end_id, text, key)
     return read_back(docs.sparkSession, folder)
 
