@@ -7,12 +7,14 @@ batch query over them; with another trigger it goes on.
 
 from __future__ import annotations
 
+import threading
 import uuid
 from collections.abc import Callable, Iterator
 
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.streaming.listener import StreamingQueryListener
 from pyspark.sql.streaming.state import GroupState
 from pyspark.sql.types import IntegerType, StructField, StructType
 
@@ -90,14 +92,44 @@ def supports(spark: SparkSession, sf_dir: str, sets: list[list[str]]) -> DataFra
     return held.groupBy("window_start", F.array_join("items", " ").alias("items")).agg(F.count("*").alias("support"))
 
 
+class _Dropped(StreamingQueryListener):
+    """Rows that each batch of one stream dropped, whatever the number of batches (a query itself keeps its last reports only)."""
+
+    def __init__(self, name: str) -> None:
+        self.name, self.id, self.batches, self.ended = name, None, {}, threading.Event()
+
+    def onQueryStarted(self, event) -> None:
+        if event.name == self.name:
+            self.id = event.id
+
+    def onQueryProgress(self, event) -> None:
+        p = event.progress
+        if p.name == self.name:
+            self.batches[p.batchId] = sum(s.numRowsDroppedByWatermark for s in p.stateOperators)
+
+    def onQueryIdle(self, event) -> None:
+        pass
+
+    def onQueryTerminated(self, event) -> None:
+        if event.id == self.id:
+            self.ended.set()
+
+
 def late_rows(spark: SparkSession, sf_dir: str, delay: str = "1 hour") -> DataFrame:
     """(batch, dropped): rows that came after the watermark had passed their window, from the stream's own progress."""
     counted = events(spark, sf_dir, 1).withWatermark("ts", delay).groupBy(F.window("ts", "1 hour")).count()
     folder = new_folder(spark, "late")
-    query = counted.writeStream.outputMode("append").format("noop").option("checkpointLocation", folder).trigger(availableNow=True).start()
-    query.awaitTermination()
-    rows = [(p["batchId"], sum(s["numRowsDroppedByWatermark"] for s in p["stateOperators"])) for p in query.recentProgress]
-    return spark.createDataFrame(rows, "batch long, dropped long")
+    heard = _Dropped(f"late-{uuid.uuid4().hex}")
+    spark.streams.addListener(heard)
+    try:
+        query = counted.writeStream.queryName(heard.name).outputMode("append").format("noop").option("checkpointLocation", folder).trigger(availableNow=True).start()
+        query.awaitTermination()
+        # reports arrive in order, the end of the query last
+        if not heard.ended.wait(600):
+            raise TimeoutError("the end of the stream was not reported")
+    finally:
+        spark.streams.removeListener(heard)
+    return spark.createDataFrame(sorted(heard.batches.items()), "batch long, dropped long")
 
 
 def bounds_per_batch(spark: SparkSession, sf_dir: str, items: list[str], out: Callable[[DataFrame, int], None]) -> None:
