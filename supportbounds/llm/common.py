@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import itertools
 import tempfile
 import uuid
 
@@ -39,7 +40,21 @@ def keep(df: DataFrame, name: str) -> DataFrame:
     """
     path = new_folder(df.sparkSession, name)
     df.write.option("compression", "zstd").parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    out = df.sparkSession.read.schema(df.schema).parquet(path)
+    out.kept_at = path
+    return out
+
+
+def remove_folder(spark: SparkSession, path: str) -> None:
+    """Deletes a folder below the shared one, through the file system that holds it."""
+    place = spark._jvm.org.apache.hadoop.fs.Path(path)
+    place.getFileSystem(spark._jsc.hadoopConfiguration()).delete(place, True)
+
+
+def discard(*tables: DataFrame) -> None:
+    """Deletes tables made by :func:`keep` that nothing reads any more."""
+    for table in tables:
+        remove_folder(table.sparkSession, table.kept_at)
 
 
 def text_of(df: DataFrame, column: str = "text") -> Column:
@@ -54,3 +69,40 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 def bytes_on_disk(df: DataFrame) -> int:
     """Size that the optimiser has for ``df``; of a table just read from files, the size of the files."""
     return int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+
+
+#: So many keys at most are handed to every task as one list (8 MB or so); more of them are joined.
+LOOKUP_KEYS = 200_000
+
+
+class Lookup:
+    """A set of keys (h1, h2) that expressions can test, without moving the rows that are tested.
+
+    The keys become one constant array: h1 tells the bucket, a few places wide, and h2 stands in one of its places.
+    """
+
+    def __init__(self, keys: list[tuple[int, int]]):
+        self.buckets = 1 << max(0, (len(keys) - 1).bit_length())
+        held: list[list[int]] = [[] for _ in range(self.buckets)]
+        for h1, h2 in keys:
+            held[h1 % self.buckets].append(h2)
+        self.width = max(map(len, held))
+        places = ",".join(str(h) for own in held for h in own + [0] * (self.width - len(own)))
+        # one string for the planner to fold, instead of a literal for each key
+        self.places = F.split(F.lit(places), ",").cast("array<bigint>") if self.width else None
+
+    def holds(self, h1: Column, h2: Column) -> Column:
+        if self.places is None:
+            return F.lit(False)
+        first = (F.pmod(h1, F.lit(self.buckets)) * self.width).cast("int")
+        found = [F.get(self.places, first + i) == h2 for i in range(self.width)]
+        while len(found) > 1:
+            found = [a | b for a, b in itertools.zip_longest(found[::2], found[1::2], fillvalue=F.lit(False))]
+        return found[0]
+
+
+def lookup(keys: DataFrame, most: int = LOOKUP_KEYS) -> Lookup | None:
+    """The distinct keys (h1, h2) as a list to look things up in, or None if there are more than ``most``."""
+    if keys.count() > most:
+        return None
+    return Lookup([(r.h1, r.h2) for r in keys.select("h1", "h2").collect()])

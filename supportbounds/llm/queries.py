@@ -39,7 +39,7 @@ def op6_token_store(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op7_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    cleaned = line_dedup.remove_lines(table(spark, sf_dir, "documents"))
+    cleaned = line_dedup.remove_lines(table(spark, sf_dir, "documents"), counts=("n_lines", "n_removed"))
     return cleaned.select("doc_id", "n_lines", "n_removed", F.sha2(F.coalesce("text", F.lit("")), 256).alias("text_sha256"))
 
 
