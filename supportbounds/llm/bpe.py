@@ -21,6 +21,7 @@ from itertools import chain
 
 import ahocorasick
 import numpy as np
+import public_tokenizers
 import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
@@ -153,16 +154,16 @@ class PrefixTable:
 class PieceCache(dict):
     """Piece to what is made of it, in two generations: when the young one is full it becomes the old one."""
 
-    def __init__(self, make: Callable):
+    def __init__(self, make: Callable, most: int = _CACHE):
         super().__init__()
-        self.make = make
+        self.make, self.most = make, most
         self.old: dict = {}
 
     def __missing__(self, piece):
         found = self.old.get(piece)
         if found is None:
             found = self.make(piece)
-        if len(self) >= _CACHE:
+        if len(self) >= self.most:
             self.old = dict(self)
             self.clear()
         self[piece] = found
@@ -177,9 +178,10 @@ _LETTER, _NUMBER, _OTHER, _SPACE, _END = range(5)
 def _kinds() -> np.ndarray:
     """The kind of every code point, from the same character properties that the pattern names."""
     table = np.full(0x110000, _OTHER, dtype=np.uint8)
-    every = "".join(map(chr, (i for i in range(0x110000) if not 0xD800 <= i < 0xE000)))
-    for kind, one in ((_LETTER, r"\p{L}"), (_NUMBER, r"\p{N}"), (_SPACE, r"\s")):
-        table[[ord(c) for c in regex.findall(one, every)]] = kind
+    for start in range(0, 0x110000, 0x1000):
+        block = "".join(map(chr, (i for i in range(start, start + 0x1000) if not 0xD800 <= i < 0xE000)))
+        for kind, one in ((_LETTER, r"\p{L}"), (_NUMBER, r"\p{N}"), (_SPACE, r"\s")):
+            table[[ord(c) for c in regex.findall(one, block)]] = kind
     return table
 
 
@@ -192,6 +194,12 @@ class Splitter:
     """
 
     ENDINGS = ("s", "t", "re", "ve", "m", "ll", "d")  # fixed values
+    #: The one pattern whose borders these are (a fixed value).
+    PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
+
+    def __init__(self) -> None:
+        if public_tokenizers.PATTERN != self.PATTERN:
+            raise ValueError("pieces are cut for another pattern than the tokenizers' one")
 
     def __call__(self, texts: list[str]) -> tuple[pa.Array, np.ndarray]:
         """All pieces (as bytes) in order, and the number of the first piece of each text (and one past the last)."""
@@ -250,9 +258,9 @@ def gather(flat: np.ndarray, starts: np.ndarray, lengths: np.ndarray) -> np.ndar
 class TextEncoder:
     """Ids of many texts from the ids of their pieces; each different piece is looked at once per batch."""
 
-    def __init__(self, encode_piece: Callable[[bytes], Iterable[int]]):
+    def __init__(self, encode_piece: Callable[[bytes], Iterable[int]], most: int = _CACHE):
         self.split = Splitter()
-        self.pieces = PieceCache(lambda piece: array("I", encode_piece(piece)).tobytes())
+        self.pieces = PieceCache(lambda piece: array("I", encode_piece(piece)).tobytes(), most)
 
     def batch(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
         """All ids in one row, and where each text's begin (and the end)."""

@@ -6,9 +6,10 @@ locator of that row's content (file and row number). Rows are aggregated in thei
 meet the state, so copies of one text, however many, are one update per task. Later runs over new files go on from the
 same checkpoint.
 
-A digest that is hit more than once is checked in full: rows whose digest may be a hit (told by a bitmap of
-fixed size) are grouped by digest AND text, which compares all bytes. Should two texts share a digest,
-their rows are told apart by the text itself.
+The row that stays and the size of its group are what the state says. A digest that is hit more than once is checked
+in full: rows whose digest may be a hit (told by a bitmap of fixed size) are grouped by digest AND text, which compares all
+bytes; the group must be the one that the state has counted, with the content at the state's locator in it. Should two texts share a digest,
+the state's entry is no class, and their rows are told apart by the text itself.
 """
 
 from __future__ import annotations
@@ -60,9 +61,9 @@ def update_state(
             spark.conf.unset(k) if v is None else spark.conf.set(k, v)
 
 
-def state(spark: SparkSession, changes: str) -> DataFrame:
+def state(spark: SparkSession, changes: str, kind: str = "long") -> DataFrame:
     """digest, place, n: the newest value of every entry (counts and places only grow)."""
-    fields = "digest binary, place struct<known:boolean,id:long,file:string,row:long>, n long, batch int"
+    fields = f"digest binary, place struct<known:boolean,id:{kind},file:string,row:long>, n long, batch int"
     return spark.read.schema(fields).parquet(changes).groupBy("digest").agg(F.max("place").alias("place"), F.max("n").alias("n"))
 
 
@@ -87,28 +88,36 @@ def find(spark: SparkSession, path: str, text: str = "text", key: str = "doc_id"
 
     Of equal texts the row with the largest key stays. A null text equals an empty one. Null keys are below all others; of rows
     that share key and text (or have no key) the last one in (file, row) order stays, so each group keeps one row. An
-    empty table gives an empty result. ``folder``: where state and changes live, for runs that go on later.
+    empty table gives an empty result; texts of any length are compared whole; further columns do not matter. ``folder``: where state and
+    changes live, for runs that go on later with files added to the table.
     """
     folder = folder or new_folder(spark, "exact-dedup")
     update_state(spark, path, f"{folder}/state", f"{folder}/changes", text, key, digest, max_files)
     docs = spark.read.parquet(path)
+    kind = docs.schema[key].dataType.simpleString()
     if docs.limit(1).count() == 0:
-        entries = spark.createDataFrame([], "digest binary, place struct<known:boolean,id:long,file:string,row:long>, n long")
+        entries = spark.createDataFrame([], f"digest binary, place struct<known:boolean,id:{kind},file:string,row:long>, n long")
     else:
-        entries = keep(state(spark, f"{folder}/changes"), "dedup-state")
+        entries = keep(state(spark, f"{folder}/changes", kind), "dedup-state")
     hits = entries.where("n > 1")
     place = F.struct(F.col(key).isNotNull().alias("known"), F.col(key).alias("id"), F.col("_metadata.file_path").alias("file"), F.col("_metadata.row_index").alias("row"))
     rows = docs.select(F.col(key).alias("id"), text_of(docs, text).alias("text"), place.alias("place"))
     rows = rows.withColumn("digest", digest(F.col("text")))
     groups = may_be_hit(rows, hits).groupBy("digest", "text").agg(F.count("*").alias("n"), F.max("place").alias("place"))
     checked = keep(groups.select("digest", F.sha2("text", 256).alias("text_sha256"), "n", "place"), "checked-groups")
-    clashing = checked.groupBy("digest").agg(F.count("*").alias("texts")).where("texts > 1").select("digest")
+    told = checked.groupBy("digest").agg(F.count("*").alias("texts"), F.max("place").alias("found_place"), F.sum("n").alias("found_n"))
+    compared = keep(hits.join(told, "digest", "left"), "compared-hits")
+    off, clashes = compared.agg(
+        F.count_if(~F.coalesce((F.col("found_n") == F.col("n")) & (F.col("found_place") == F.col("place")), F.lit(False))), F.count_if(F.col("texts") > 1)
+    ).first()
+    if off:
+        raise ValueError(f"{off} entries of the state do not agree with the table: files that it has seen are gone or changed")
     light = rows.select("id", "digest", F.struct("place.file", "place.row").alias("at"), F.sha2("text", 256).alias("text_sha256"))
-    if clashing.limit(1).count():
-        on = ["digest", "text_sha256"]  # a short digest: classes are told apart by the longer one, whose groups were compared in full
-    else:
-        on, checked = ["digest"], checked.drop("text_sha256")
-    many = checked.where("n > 1").select(*on, "n", "place")
+    many = compared.where("texts = 1").select("digest", "n", "place")
+    on = ["digest"]
+    if clashes:  # a short digest: classes of such entries are told apart by the longer one, whose groups were compared in full
+        on = ["digest", "text_sha256"]
+        many = checked.where("n > 1").select("digest", "text_sha256", "n", "place")
     out = light.join(many, on, "left")
     stays = F.col("place").isNull() | (F.col("at") == F.struct(F.col("place.file").alias("file"), F.col("place.row").alias("row")))
     return out.select(

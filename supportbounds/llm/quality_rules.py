@@ -1,15 +1,11 @@
 """Quality rules: counts within a document, and lines that too many documents of a host share.
 
-Lines are normalised and hashed; for each (host, line) the documents that hold it are counted. A family of near copies
-shares nearly all its lines too, and says no more than one document; what tells it from pages around one menu is the
-rest: what stands beside a menu differs from page to page, what stands beside the shared lines of near copies is the same few lines,
-slightly edited. So a line that more than ``max_documents`` documents of a host hold is over the limit only if the
-rests beside it (the least three-word window outside such lines) are more than ``max_documents`` different ones,
-and at least half as many as the different texts that hold it. A document that keeps less than a fifth of its
-words once such lines are gone is depleted and rejected.
+Lines are normalised and hashed; for each (host, line) the different documents that hold it are counted (copies of one text
+are one document). A line in more than ``max_documents`` of them is over the limit and leaves all texts of the host.
+A document that keeps less than a fifth of its words then is depleted and rejected.
 
 Counts within texts are vectorised over Arrow batches; counts across documents are aggregations whose first
-step is local to each task, so a hot host or a hot line costs one row per task and rest.
+step is local to each task, so a hot host or a hot line costs one row per task, and per text where the line may be over the limit.
 """
 
 from __future__ import annotations
@@ -20,11 +16,11 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.types import ArrayType, LongType, StringType, StructField, StructType
+from pyspark.sql.types import ArrayType, LongType, StructField, StructType
 
-from supportbounds.llm.common import keep, text_of
+from supportbounds.llm.common import ASCII_BLANKS, LOOKUP_KEYS, discard, keep, lookup, text_of
 
 MIN_WORDS, MAX_REPEAT_SHARE = 50, 0.5
 MAX_DOCUMENTS, LEAST_LEFT = 10, 0.2
@@ -32,7 +28,9 @@ STATS = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")
 _IS_SYMBOL = np.zeros(256, dtype=np.int64)
 _IS_SYMBOL[np.frombuffer(b"#*$%&|<>", dtype=np.uint8)] = 1
 _SLICE = 4_000_000
-LISTS = {"lines": pa.int64(), "line_words": pa.int64(), "line_windows": pa.string()}
+#: Of the hash of a normalised line; the one that Spark's own xxhash64 has.
+SEED = 42
+LISTS = {"lines": pa.int64(), "line_words": pa.int64()}
 
 
 def _sums(values: np.ndarray, offsets: np.ndarray) -> np.ndarray:
@@ -50,7 +48,7 @@ def _flat(lists: pa.ListArray, keep_mask: np.ndarray | None = None) -> tuple[pa.
 
 
 def measure(texts: pa.Array) -> dict[str, np.ndarray | pa.Array]:
-    """Statistics of each text of a non-null string array; ``lines``, ``line_words`` and ``line_windows`` are lists."""
+    """Statistics of each text of a non-null string array; ``lines`` and ``line_words`` are lists."""
     n = len(texts)
     split = pc.ascii_split_whitespace(texts)
     words, at = _flat(split, pc.not_equal(split.flatten(), "").to_numpy(zero_copy_only=False))
@@ -60,7 +58,7 @@ def measure(texts: pa.Array) -> dict[str, np.ndarray | pa.Array]:
     data = np.frombuffer(raw.buffers()[2], dtype=np.uint8) if raw.buffers()[2] is not None else np.empty(0, np.uint8)
     out["n_symbols"] = _sums(_IS_SYMBOL[data[bounds[0] : bounds[-1]]], bounds - bounds[0])
     out["n_repeat_words"] = _repeats(words, at)
-    out |= _lines(texts, words)
+    out |= _lines(texts)
     return out
 
 
@@ -90,34 +88,12 @@ def _triple(a: np.ndarray, b: np.ndarray, c: np.ndarray, size: int) -> np.ndarra
     return pair * size + c
 
 
-def _least_windows(words: pa.Array, counts: np.ndarray) -> list[str]:
-    """The least window of three words of each line (a shorter line is its own window); ``counts``: words of each line, one at least."""
-    coded = words.dictionary_encode()
-    names = coded.dictionary.cast(pa.binary())
-    order = pc.sort_indices(names).to_numpy()
-    rank = np.empty(len(names), dtype=np.int64)
-    rank[order] = np.arange(1, len(names) + 1)  # 0: no word
-    code = np.concatenate([rank[coded.indices.to_numpy()], [0, 0]])
-    starts = np.cumsum(counts) - counts
-    left = np.repeat(starts + counts, counts) - np.arange(len(code) - 2)  # words from each place to the end of its line
-    b, c = np.where(left >= 2, code[1:-1], 0), np.where(left >= 3, code[2:], 0)
-    key = _triple(code[:-2], b, c, len(names) + 1)
-    allowed = (left >= 3) | (np.repeat(counts, counts) == left)
-    key = np.where(allowed, key, np.iinfo(np.int64).max)
-    least = np.minimum.reduceat(key, starts)
-    where = np.flatnonzero(key == np.repeat(least, counts))
-    line = np.repeat(np.arange(len(counts)), counts)[where]
-    first = where[np.r_[True, line[1:] != line[:-1]]]
-    sorted_names = names.take(pa.array(order)).to_pylist()
-    return [b" ".join(sorted_names[r - 1] for r in code[p : p + min(3, n)]).decode() for p, n in zip(first.tolist(), counts.tolist(), strict=True)]
-
-
-def _lines(texts: pa.Array, words: pa.Array) -> dict[str, np.ndarray | pa.Array]:
+def _lines(texts: pa.Array) -> dict[str, np.ndarray | pa.Array]:
     split = pc.split_pattern(texts, "\n")
     coded = split.flatten().dictionary_encode()
     tokens = [line.lower().split() for line in coded.dictionary.cast(pa.binary()).to_pylist()]
     counts = np.array([len(t) for t in tokens], dtype=np.int64)
-    hashes = np.array([xxhash.xxh64_intdigest(b" ".join(t)) for t in tokens], dtype=np.uint64).view(np.int64)
+    hashes = np.array([xxhash.xxh64_intdigest(b" ".join(t), SEED) for t in tokens], dtype=np.uint64).view(np.int64)
     at = split.offsets.to_numpy() - split.offsets[0].as_py()
     code = coded.indices.to_numpy()
     n = len(texts)
@@ -130,38 +106,37 @@ def _lines(texts: pa.Array, words: pa.Array) -> dict[str, np.ndarray | pa.Array]
         empty = pa.array(np.zeros(n + 1, np.int32))
         lists = {c: pa.ListArray.from_arrays(empty, pa.array([], k)) for c, k in LISTS.items()}
         return {"n_dup_lines": n_dup, **lists}
-    windows = pa.array(_least_windows(pc.ascii_lower(words), counts[code]))
     # normalised lines of a text, each once, with the words of all its repeats
     order = np.lexsort((hashes[code], doc))
     d, h, c = doc[order], hashes[code][order], counts[code][order]
     first = np.flatnonzero(np.r_[True, (d[1:] != d[:-1]) | (h[1:] != h[:-1])])
     per_doc = pa.array(np.concatenate([[0], np.cumsum(np.bincount(d[first], minlength=n))]).astype(np.int32))
-    values = {"lines": pa.array(h[first]), "line_words": pa.array(np.add.reduceat(c, first)), "line_windows": windows.take(pa.array(order[first]))}
+    values = {"lines": pa.array(h[first]), "line_words": pa.array(np.add.reduceat(c, first))}
     return {"n_dup_lines": n_dup, **{name: pa.ListArray.from_arrays(per_doc, v) for name, v in values.items()}}
 
 
-def slices(batch: pa.RecordBatch, column: str) -> Iterator[pa.RecordBatch]:
+def slices(batch: pa.RecordBatch, column: str, most: int = _SLICE) -> Iterator[pa.RecordBatch]:
     """The batch in pieces of a few MB of text each (one text at least), so that working arrays stay small."""
     size = np.cumsum(pc.binary_length(batch.column(column)).fill_null(0).to_numpy(zero_copy_only=False))
     start = 0
     while start < batch.num_rows:
-        stop = max(start + 1, int(np.searchsorted(size, (size[start - 1] if start else 0) + _SLICE, side="right")))
+        stop = max(start + 1, int(np.searchsorted(size, (size[start - 1] if start else 0) + most, side="right")))
         yield batch.slice(start, stop - start)
         start = stop
 
 
 def with_stats(docs: DataFrame, text: str) -> DataFrame:
-    """``docs`` without ``text`` but with its statistics and lines; ``text`` must not be null."""
+    """``docs`` with the statistics and lines of ``text`` in place of it; the text must not be null."""
     others = [f for f in docs.schema.fields if f.name != text]
 
     def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for part in slices(batch, text):
                 got = measure(part.column(text))
-                arrays = [part.column(f.name) for f in others] + [pa.array(got[s]).cast(pa.int64()) for s in STATS] + [got[c] for c in LISTS]
+                arrays = [*(part.column(f.name) for f in others), *(pa.array(got[s]).cast(pa.int64()) for s in STATS), *(got[c] for c in LISTS)]
                 yield pa.RecordBatch.from_arrays(arrays, names=[*(f.name for f in others), *STATS, *LISTS])
 
-    lists = [StructField(c, ArrayType(StringType() if c == "line_windows" else LongType())) for c in LISTS]
+    lists = [StructField(c, ArrayType(LongType())) for c in LISTS]
     return docs.mapInArrow(add, StructType([*others, *(StructField(s, LongType()) for s in STATS), *lists]))
 
 
@@ -170,51 +145,90 @@ def base_failed():
 
 
 def line_rows(rows: DataFrame) -> DataFrame:
-    """(row, host, text_key, line, words, window): the lines of the kept rows."""
+    """(row, host, text_key, line, words): the lines of the kept rows."""
     zipped = rows.select("row", "host", "text_key", F.explode(F.arrays_zip(*LISTS)).alias("l"))
-    return zipped.select("row", "host", "text_key", F.col("l.lines").alias("line"), F.col("l.line_words").alias("words"), F.col("l.line_windows").alias("window"))
+    return zipped.select("row", "host", "text_key", F.col("l.lines").alias("line"), F.col("l.line_words").alias("words"))
 
 
 def over_limit_lines(lines: DataFrame, max_documents: int = MAX_DOCUMENTS) -> DataFrame:
-    """(host, line) of the lines over the limit."""
+    """(host, line) of the lines that more than ``max_documents`` different texts of the host hold."""
+    # rows first, which copies only add to; texts are told apart where they can matter
     common = lines.groupBy("host", "line").agg(F.count("*").alias("n")).where(F.col("n") > max_documents).select("host", "line")
     common = keep(common, "common-lines")
-    rests = lines.join(common, ["host", "line"], "left_anti").groupBy("row").agg(F.min("window").alias("rest"))
-    held = lines.select("row", "host", "text_key", "line").join(common, ["host", "line"], "left_semi").join(rests, "row", "left")
-    different = held.select("host", "line", F.coalesce("rest", F.lit("")).alias("rest"), "text_key").distinct()
-    per_rest = different.groupBy("host", "line", "rest").agg(F.count("*").alias("texts"))
-    per_line = per_rest.groupBy("host", "line").agg(F.count("*").alias("rests"), F.sum("texts").alias("texts"))
-    return per_line.where((F.col("rests") > max_documents) & (2 * F.col("rests") >= F.col("texts"))).select("host", "line")
+    texts = lines.select("host", "line", "text_key").join(common, ["host", "line"], "left_semi").distinct()
+    over = keep(texts.groupBy("host", "line").agg(F.count("*").alias("n")).where(F.col("n") > max_documents).select("host", "line"), "frequent-lines")
+    discard(common)
+    return over
+
+
+def _measured(docs: DataFrame, text: str, host: str, *others: str) -> DataFrame:
+    """The statistics of each row, its host, the key of its text and a number, and the named columns, in the shared folder."""
+    whole = text_of(docs, text)
+    named = {"host": F.coalesce(F.col(host).cast("string"), F.lit("")), "text_key": F.xxhash64(whole), "measured_text": whole}
+    plain = docs.select(*[F.col(c).alias(f"in_{i}") for i, c in enumerate(others)], *[c.alias(n) for n, c in named.items()])
+    return keep(with_stats(plain, "measured_text").withColumn("row", F.monotonically_increasing_id()), "quality-rows")
+
+
+def _gone(rows: DataFrame, frequent: DataFrame) -> DataFrame:
+    """(row, gone): words in lines over the limit, of the rows that pass the base rules."""
+    held = line_rows(rows.where(~base_failed())).select("row", "host", "line", "words")
+    return held.join(frequent, ["host", "line"]).groupBy("row").agg(F.sum("words").alias("gone"))
 
 
 def judge(docs: DataFrame, text: str = "text", key: str = "doc_id", host: str = "source", max_documents: int = MAX_DOCUMENTS, least_left: float = LEAST_LEFT) -> DataFrame:
     """One row per document: key, counts, base_failed, kept, words left, and the digest of the text (``text_key``).
 
-    Null texts count as empty, null hosts as one host; repeated rows are judged row by row (as one family in
-    counts across documents); an empty table gives an empty result.
+    Null texts count as empty (no words: rejected), null hosts as one host; repeated rows are judged row by row and count as one
+    document; ties do not arise; texts of any length are counted whole; an empty table gives an empty result.
     """
-    plain = docs.select(F.col(key).alias("key"), F.coalesce(F.col(host).cast("string"), F.lit("")).alias("host"), F.xxhash64(text_of(docs, text)).alias("text_key"), text_of(docs, text).alias("text"))
-    rows = keep(with_stats(plain, "text").withColumn("row", F.monotonically_increasing_id()), "quality-rows")
-    frequent = keep(over_limit_lines(line_rows(rows), max_documents), "frequent-lines")
-    held = line_rows(rows.where(~base_failed())).select("row", "host", "line", "words")
-    gone = held.join(frequent, ["host", "line"]).groupBy("row").agg(F.sum("words").alias("gone"))
-    out = rows.drop(*LISTS).join(gone, "row", "left")
+    rows = _measured(docs, text, host, key)
+    frequent = over_limit_lines(line_rows(rows), max_documents)
+    out = rows.drop(*LISTS).join(_gone(rows, frequent), "row", "left")
     left = F.col("n_words") - F.coalesce("gone", F.lit(0))
     failed = base_failed()
     return out.select(
-        F.col("key").alias(key), F.col("host"), *STATS, failed.alias("base_failed"), (~failed & (left >= least_left * F.col("n_words"))).alias("kept"), left.alias("n_words_left"), "text_key"
+        F.col("in_0").alias(key), F.col("host"), *STATS, failed.alias("base_failed"), (~failed & (left >= least_left * F.col("n_words"))).alias("kept"), left.alias("n_words_left"), "text_key"
     )
 
 
-def reject(docs: DataFrame, text: str = "text", key: str = "doc_id", host: str = "source", **limits) -> DataFrame:
-    """The rows of ``docs`` that the rules keep, unchanged.
+def _normalised(line: Column) -> Column:
+    lower = F.translate(line, "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
+    return F.trim(F.regexp_replace(lower, ASCII_BLANKS, " "))
+
+
+def reject(
+    docs: DataFrame, text: str = "text", host: str = "source", max_documents: int = MAX_DOCUMENTS, least_left: float = LEAST_LEFT, lookup_keys: int = LOOKUP_KEYS
+) -> DataFrame:
+    """The rows of ``docs`` that the rules keep, their texts without the lines over the limit.
 
-    A verdict depends on host and text alone, so rejected (host, digest) pairs leave by an anti-join.
+    All columns stay. The rules for nulls, repeated rows, long texts and empty tables are those of :func:`judge`. A text that holds no such line stays as
+    it is, character by character. Lines are looked up in a list of checked size; beyond it every text is joined with its own lines.
     """
-    verdicts = judge(docs, text, key, host, **limits)
-    out = keep(verdicts.where(~F.col("kept")).select(F.col("host").alias("__sb_host"), F.col("text_key").alias("__sb_text")).distinct(), "rejected")
+    rows = _measured(docs, text, host)
+    frequent = over_limit_lines(line_rows(rows), max_documents)
+    lost = _gone(rows, frequent).join(rows.select("row", "n_words"), "row").where(F.col("n_words") - F.col("gone") < least_left * F.col("n_words"))
+    # a verdict depends on host and text alone
+    out = rows.join(lost.select("row"), "row", "left_semi").unionByName(rows.where(base_failed())).select("host", "text_key").distinct()
+    out = keep(out.select(F.col("host").alias("__sb_host"), F.col("text_key").alias("__sb_text")), "rejected")
     named = docs.withColumns({"__sb_host": F.coalesce(F.col(host).cast("string"), F.lit("")), "__sb_text": F.xxhash64(text_of(docs, text))})
-    return named.join(out, ["__sb_host", "__sb_text"], "left_anti").select(*docs.columns)
+    left = named.join(out, ["__sb_host", "__sb_text"], "left_anti")
+    key = lambda h, line: (F.xxhash64(h, line), F.xxhash64(F.lit(1), h, line))
+    h1, h2 = key(F.col("host"), F.col("line"))
+    known = lookup(frequent.select(h1.alias("h1"), h2.alias("h2")), lookup_keys)
+    if known is None:
+        own = line_rows(rows).join(frequent, ["host", "line"], "left_semi").select("host", "text_key", "line").distinct()
+        own = keep(own.groupBy("host", "text_key").agg(F.collect_list("line").alias("own")), "own-lines")
+        own = own.select(F.col("host").alias("__sb_host"), F.col("text_key").alias("__sb_text"), F.col("own").alias("__sb_own"))
+        left = left.join(own, ["__sb_host", "__sb_text"], "left")
+
+    def over(line: Column) -> Column:
+        hashed = F.xxhash64(_normalised(line))
+        return F.coalesce(F.array_contains("__sb_own", hashed), F.lit(False)) if known is None else known.holds(*key(F.col("__sb_host"), hashed))
+
+    left = left.withColumn("__sb_lines", F.split(text_of(left, text), "\n"))
+    left = left.withColumn("__sb_left", F.filter("__sb_lines", lambda x: ~over(x)))
+    cut = F.size("__sb_left") < F.size("__sb_lines")
+    return left.select(*[F.when(cut, F.array_join("__sb_left", "\n")).otherwise(F.col(c)).alias(c) if c == text else F.col(c) for c in docs.columns])
 
 
 _WORDS = r"list_filter(string_split_regex(text, '[\x20\x09-\x0D]+'), lambda w: w <> '')"
@@ -229,12 +243,7 @@ WITH d AS (SELECT doc_id, coalesce(source, '') AS host, coalesce(text, '') AS te
 ), ln AS (SELECT doc_id, host, raw, trim(regexp_replace(translate(raw, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\x20\x09-\x0D]+', ' ', 'g')) AS line FROM l
 ), lc AS (SELECT doc_id, host, line, sum(len(string_split(line, ' '))) AS words FROM ln WHERE line <> '' GROUP BY ALL
 ), dup AS (SELECT doc_id, count(*) - count(DISTINCT raw) AS n FROM ln WHERE line <> '' GROUP BY doc_id
-), lw AS (SELECT *, string_split(line, ' ') AS t FROM lc
-), lm AS (SELECT doc_id, host, line, array_to_string(CASE WHEN len(t) < 3 THEN t ELSE list_min(list_transform(range(1, len(t) - 1), lambda i: [t[i], t[i + 1], t[i + 2]])) END, ' ') AS win FROM lw
-), cl AS (SELECT host, line FROM lc GROUP BY host, line HAVING count(*) > {MAX_DOCUMENTS}
-), rs AS (SELECT doc_id, min(win) AS rest FROM lm ANTI JOIN cl USING (host, line) GROUP BY doc_id
-), f AS (SELECT lc.host, lc.line FROM lc JOIN cl USING (host, line) JOIN d USING (doc_id) LEFT JOIN rs ON rs.doc_id = lc.doc_id GROUP BY ALL
-  HAVING count(DISTINCT coalesce(rest, '')) > {MAX_DOCUMENTS} AND 2 * count(DISTINCT coalesce(rest, '')) >= count(DISTINCT d.text)
+), f AS (SELECT lc.host, lc.line FROM lc JOIN d USING (doc_id) GROUP BY ALL HAVING count(DISTINCT d.text) > {MAX_DOCUMENTS}
 ), gone AS (SELECT doc_id, sum(words) AS n FROM lc JOIN f USING (host, line) GROUP BY doc_id
 ), b AS (
   SELECT x.doc_id, len(w) AS n_words, coalesce(list_sum(list_transform(w, lambda s: length(s))), 0) AS word_chars,

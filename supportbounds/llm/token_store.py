@@ -3,14 +3,18 @@
 The ids of a document are cut into chunks where a rolling hash of the last few ids meets a condition, so
 equal passages give equal chunks wherever they stand. A store is a folder of three Parquet tables:
 
-* ``chunks``   digest (SHA-256 of the ids as little-endian unsigned 16- or 32-bit integers), width, n ids, the ids compressed;
+* ``chunks``   digest (SHA-256 of the ids as little-endian unsigned 16- or 32-bit integers), width, n ids, the ids;
   each digest once
-* ``recipes``  one row per document in ascending doc_id order: start, n_tokens, digests of its chunks, leaf of the Merkle tree
-* ``manifest`` one row per recipe part: its rows, tokens and Merkle root; the roots of the parts hash into the root of the store
+* ``recipes``  one row per document in ascending doc_id order: start, n_tokens, digests of its chunks and where they end, leaf of the Merkle tree
+* ``manifest`` one row per recipe part: its rows, tokens and Merkle root
+* ``root``     one row: the root over the roots of all parts
 
 Documents are encoded once; chunks move once, to the task that keeps one of each digest. Reading back checks every
-chunk against its digest and every part against its root. Checksums of documents are combined from those of their
-chunks, so verification moves digests, not ids.
+chunk against its digest, every part against its root and the parts against the root of the store. Checksums of documents are
+combined from those of their chunks (a checksum moved on by the bytes that follow it; the moved ones add up by exclusive or),
+so verification moves digests, not ids.
+
+No stage has more than one Python worker for each core, and what a worker keeps is bounded, since workers are used again.
 """
 
 from __future__ import annotations
@@ -21,21 +25,22 @@ import json
 import os
 import zlib
 from collections.abc import Callable, Iterator
-from functools import lru_cache
+from functools import lru_cache, reduce
 
 import numpy as np
 import pyarrow as pa
-import zstandard
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
 from supportbounds.llm.bpe import TextEncoder
-from supportbounds.llm.common import new_folder, text_of
+from supportbounds.llm.common import new_folder, remove_folder, text_of
 from supportbounds.llm.quality_rules import slices
 
 WINDOW, MASK_BITS, MAX_CHUNK = 12, 9, 4096
+#: What a worker keeps and works on at once: encoded pieces, digests already sent, bytes of text.
+PIECES, SEEN, SLICE = 100_000, 50_000, 1_000_000
 _RANDOM = np.random.default_rng(20_24).integers(0, 1 << 63, size=1 << 16, dtype=np.uint64)
 
 
@@ -76,22 +81,11 @@ def merkle_root(leaves: list[bytes]) -> bytes:
 
 def crc32_combine(first: int, second: int, second_bytes: int) -> int:
     """The crc32 of two byte strings in a row from their own: ``first`` is moved on by as many zero bytes."""
-    return _multiply(first, _power(second_bytes)) ^ second if first else second
-
-
-@lru_cache(maxsize=1 << 16)
-def _power(n_bytes: int) -> int:
-    """x^(8 n) modulo the polynomial (bit-reversed), by squaring."""
-    power, factor = 1 << 31, 0x80000000 >> 8  # 1 and x^8
-    while n_bytes:
-        if n_bytes & 1:
-            power = _multiply(power, factor)
-        factor = _multiply(factor, factor)
-        n_bytes >>= 1
-    return power
+    return int(moved_on(np.array([first]), np.array([second_bytes]))[0]) ^ second
 
 
 def _multiply(a: int, b: int) -> int:
+    """The product of two polynomials over two elements, modulo that of crc32 (bit-reversed)."""
     out = 0
     for i in range(31, -1, -1):
         if a >> i & 1:
@@ -100,6 +94,25 @@ def _multiply(a: int, b: int) -> int:
     return out
 
 
+@lru_cache(maxsize=64)
+def _step(k: int) -> np.ndarray:
+    """For each value of each of the four bytes of a checksum, what it becomes when 2^k zero bytes follow."""
+    factor = reduce(lambda f, _: _multiply(f, f), range(k), 0x80000000 >> 8)
+    return np.array([[_multiply(factor, v << (8 * b)) for v in range(256)] for b in range(4)], dtype=np.uint32)
+
+
+def moved_on(crcs: np.ndarray, zero_bytes: np.ndarray) -> np.ndarray:
+    """The part that each checksum has in that of its bytes with so many bytes after them."""
+    out, left, k = crcs.astype(np.uint32), zero_bytes.astype(np.int64), 0
+    while left.any():
+        odd = np.flatnonzero(left & 1)
+        if len(odd):
+            own, table = out[odd], _step(k)
+            out[odd] = table[0][own & 255] ^ table[1][own >> 8 & 255] ^ table[2][own >> 16 & 255] ^ table[3][own >> 24]
+        left, k = left >> 1, k + 1
+    return out
+
+
 def _byte_letters() -> dict[int, str]:
     """The printable letter that byte-level tokenizer files write for each byte: printable bytes as they are, the others in order from 256 on."""
     plain = {*range(33, 127), *range(161, 173), *range(174, 256)}
@@ -116,12 +129,11 @@ def _encoder(path: str) -> tuple[Callable[[list[str], int], tuple[np.ndarray, np
     """
     os.environ["TOKENIZERS_PARALLELISM"] = "false"  # the tasks are the parallelism
     library = Tokenizer.from_file(path)
-    facts = json.loads(library.to_str())
-    cut = facts["pre_tokenizer"] or {}
-    plain = facts["normalizer"] is None and cut.get("type") == "ByteLevel" and cut.get("use_regex") and not cut.get("add_prefix_space")
+    cut = json.loads(library.pre_tokenizer.__getstate__()) if library.pre_tokenizer else {}
+    plain = library.normalizer is None and cut.get("type") == "ByteLevel" and cut.get("use_regex") and not cut.get("add_prefix_space")
     special = [t.content for t in library.get_added_tokens_decoder().values()]
     letters, model = _byte_letters(), library.model
-    coder = TextEncoder(lambda piece: [t.id for t in model.tokenize(piece.decode("latin-1").translate(letters))])
+    coder = TextEncoder(lambda piece: [t.id for t in model.tokenize(piece.decode("latin-1").translate(letters))], PIECES)
 
     def whole(text: str) -> np.ndarray:
         return np.array(library.encode(text, add_special_tokens=False).ids, dtype=np.uint32)
@@ -145,48 +157,50 @@ def write(docs: DataFrame, folder: str, tokenizer: str, end_id: int = 2, text: s
     """Writes the store of ``docs``.
 
     Null texts are empty (a document of the end id alone). Rows with equal keys stay apart, in the order in which
-    they were read; null keys come first. An empty table gives a store without rows. ``tokenizer`` must be readable on every executor.
+    they were read; null keys come first. An empty table gives a store without rows. Texts of any length are encoded
+    whole. Keys keep their type. ``tokenizer`` must be readable on every executor.
     """
     spark = docs.sparkSession
-    plain = docs.select(F.col(key).cast("long").alias("doc_id"), F.monotonically_increasing_id().alias("row"), text_of(docs, text).alias("text"))
+    plain = docs.select(F.col(key).alias("doc_id"), F.monotonically_increasing_id().alias("row"), text_of(docs, text).alias("text"))
 
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         ids_of, most = _encoder(tokenizer)
         seen: set[bytes] = set()
         width = 2 if max(most, end_id) < 1 << 16 else 4  # by the vocabulary, so that equal ids have equal digests everywhere
-        pack = zstandard.ZstdCompressor(level=1).compress
         for batch in batches:
-            for part in slices(batch, "text"):
+            for part in slices(batch, "text", SLICE):
                 ids, at = ids_of(part.column("text").to_pylist(), end_id)
                 raw, found = ids.astype(f"<u{width}").tobytes(), marks(ids)
                 ends = np.searchsorted(found, at, side="right").tolist()
                 bounds, found = at.tolist(), found.tolist()
-                digests, sizes, payloads, recipes, names = [], [], [], [], []
+                digests, sizes, payloads, recipes, ends_of, names = [], [], [], [], [], []
                 for i, row in enumerate(part.column("row").to_pylist()):
-                    begin, recipe, start = bounds[i], [], 0
+                    begin, recipe, span, start = bounds[i], [], [], 0
                     n = bounds[i + 1] - begin
                     for end in cut_points(n, [m - begin for m in found[ends[i] : ends[i + 1]] if m < bounds[i + 1]]):
                         chunk = raw[(begin + start) * width : (begin + end) * width]
                         digest = hashlib.sha256(chunk).digest()
                         recipe.append(digest)
+                        span.append(end)
                         if digest not in seen:
-                            if len(seen) > 200_000:
+                            if len(seen) > SEEN:
                                 seen.clear()
                             seen.add(digest)
                             digests.append(digest)
                             sizes.append(end - start)
-                            payloads.append(pack(chunk))
+                            payloads.append(chunk)
                         start = end
                     recipes.append(recipe)
+                    ends_of.append(span)
                     names.append(hashlib.md5(b"%d" % row).digest())  # recipes are only to be spread evenly
                 c, d = len(digests), part.num_rows
                 yield pa.RecordBatch.from_arrays(
                     [
-                        pa.array(digests + names, pa.binary()), pa.concat_arrays([pa.nulls(c, pa.int64()), part.column("doc_id")]), pa.concat_arrays([pa.nulls(c, pa.int64()), part.column("row")]),
+                        pa.array(digests + names, pa.binary()), pa.concat_arrays([pa.nulls(c, part.column("doc_id").type), part.column("doc_id")]), pa.concat_arrays([pa.nulls(c, pa.int64()), part.column("row")]),
                         pa.array(np.concatenate([np.array(sizes, np.int64), np.diff(at)])), pa.array([width] * c + [None] * d, pa.int32()), pa.array(payloads + [None] * d, pa.binary()),
-                        pa.array([None] * c + recipes, pa.list_(pa.binary())),
+                        pa.array([None] * c + recipes, pa.list_(pa.binary())), pa.array([None] * c + ends_of, pa.list_(pa.int32())),
                     ],
-                    names=["digest", "doc_id", "row", "n", "width", "payload", "recipe"],
+                    names=["digest", "doc_id", "row", "n", "width", "payload", "recipe", "ends"],
                 )
 
     def one_of_each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -197,17 +211,19 @@ def write(docs: DataFrame, folder: str, tokenizer: str, end_id: int = 2, text: s
             previous = digests[-1] if digests else previous
             yield batch.filter(pa.array(fresh))
 
-    schema = "digest binary, doc_id long, row long, n long, width int, payload binary, recipe array<binary>"
+    kind = plain.schema["doc_id"].dataType.simpleString()
+    schema = f"digest binary, doc_id {kind}, row long, n long, width int, payload binary, recipe array<binary>, ends array<int>"
     moved = plain.mapInArrow(encode, schema).repartition("digest").sortWithinPartitions("digest")
     kept = moved.mapInArrow(one_of_each, schema).withColumn("kind", F.when(F.col("payload").isNull(), "recipe").otherwise("chunk"))
     staged = f"{folder}/staged"
-    kept.write.partitionBy("kind").option("compression", "none").parquet(staged)
-    # the chunks stay where they are; recipes are put in order
-    recipes = spark.read.schema(schema + ", kind string").parquet(staged).where("kind = 'recipe'").select("doc_id", "row", "n", "recipe")
-    _write_recipes(recipes, folder)
+    kept.write.partitionBy("kind").option("compression", "zstd").parquet(staged)
+    # the chunks stay where they are; recipes are put in order, and their first form goes
+    held = spark.read.schema(schema + ", kind string").parquet(staged).where("kind = 'recipe'").select("doc_id", "row", "n", "recipe", "ends")
+    _write_recipes(held, folder, kind)
+    remove_folder(spark, f"{staged}/kind=recipe")
 
 
-def _write_recipes(recipes: DataFrame, folder: str) -> None:
+def _write_recipes(recipes: DataFrame, folder: str, kind: str) -> None:
     def number(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         part, start = TaskContext.get().partitionId(), 0
         for batch in batches:
@@ -216,18 +232,20 @@ def _write_recipes(recipes: DataFrame, folder: str) -> None:
             start += int(n.sum())
             leaves = [leaf(d, r) for d, r in zip(batch.column("doc_id").to_pylist(), batch.column("recipe").to_pylist(), strict=True)]
             yield pa.RecordBatch.from_arrays(
-                [batch.column("doc_id"), batch.column("row"), pa.array(np.full(len(n), part, np.int32)), pa.array(local), batch.column("n"), batch.column("recipe"), pa.array(leaves, pa.binary())],
-                names=["doc_id", "row", "part", "local_start", "n_tokens", "recipe", "leaf"],
+                [batch.column("doc_id"), batch.column("row"), pa.array(np.full(len(n), part, np.int32)), pa.array(local), batch.column("n"), batch.column("recipe"), batch.column("ends"), pa.array(leaves, pa.binary())],
+                names=["doc_id", "row", "part", "local_start", "n_tokens", "recipe", "ends", "leaf"],
             )
 
-    schema = "doc_id long, row long, part int, local_start long, n_tokens long, recipe array<binary>, leaf binary"
+    schema = f"doc_id {kind}, row long, part int, local_start long, n_tokens long, recipe array<binary>, ends array<int>, leaf binary"
     ordered = recipes.repartitionByRange("doc_id", "row").sortWithinPartitions("doc_id", "row").mapInArrow(number, schema)
     ordered.write.option("compression", "zstd").parquet(f"{folder}/recipes")
     written = recipes.sparkSession.read.schema(schema).parquet(f"{folder}/recipes")
     _manifest(written, "leaf").write.option("compression", "zstd").parquet(f"{folder}/manifest")
+    spark = recipes.sparkSession
+    spark.createDataFrame([(store_root(spark, folder),)], "root string").coalesce(1).write.parquet(f"{folder}/root")
 
 
-def leaf(doc_id: int | None, recipe: list[bytes]) -> bytes:
+def leaf(doc_id: object, recipe: list[bytes]) -> bytes:
     return hashlib.sha256(str(doc_id).encode() + b":" + b"".join(recipe)).digest()
 
 
@@ -281,11 +299,9 @@ def verified_chunks(spark: SparkSession, folder: str) -> DataFrame:
     """digest, n, crc (of the ids as unsigned 32-bit integers), good (the stored ids have this digest and number)."""
 
     def check(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        unpack = zstandard.ZstdDecompressor().decompress
         for batch in batches:
             crc, good = [], []
-            for digest, n, width, payload in zip(*(batch.column(c).to_pylist() for c in ("digest", "n", "width", "payload")), strict=True):
-                raw = unpack(payload)
+            for digest, n, width, raw in zip(*(batch.column(c).to_pylist() for c in ("digest", "n", "width", "payload")), strict=True):
                 good.append(hashlib.sha256(raw).digest() == digest and len(raw) == n * width)
                 crc.append(zlib.crc32(np.frombuffer(raw, dtype=f"<u{width}").astype("<u4").tobytes()))
             yield pa.RecordBatch.from_arrays([batch.column("digest"), batch.column("n"), pa.array(crc, pa.int64()), pa.array(good)], names=["digest", "n", "crc", "good"])
@@ -296,26 +312,25 @@ def verified_chunks(spark: SparkSession, folder: str) -> DataFrame:
 def read_back(spark: SparkSession, folder: str) -> DataFrame:
     """doc_id, start, n_tokens, ids_crc32, verified: one row per document, from the files alone."""
     held = recipes(spark, folder)
-    steps = held.select("row", "doc_id", "part", F.posexplode("recipe").alias("at", "digest"))
+    # as many rows as recipe parts come to the driver
+    listed = {r.part: r for r in manifest(spark, folder).collect()}
+    again = {r.part: r.root for r in _manifest(held).collect()}
+    stored = spark.read.schema("root string").parquet(f"{folder}/root").first()
+    whole = stored is not None and stored.root == store_root(spark, folder) and listed.keys() == again.keys()
+    parts = [(p, r.first, whole and r.root == again[p]) for p, r in listed.items()]
+    sound = spark.createDataFrame(parts, "part int, first long, sound boolean")
+    steps = held.select("row", "n_tokens", F.explode(F.arrays_zip("recipe", "ends")).alias("step"))
+    steps = steps.select("row", F.col("step.recipe").alias("digest"), (4 * (F.col("n_tokens") - F.col("step.ends"))).alias("after"))
     joined = steps.join(verified_chunks(spark, folder), "digest", "left")
-    ordered = F.array_sort(F.collect_list(F.struct("at", F.coalesce("n", F.lit(0)).alias("n"), F.coalesce("crc", F.lit(0)).alias("crc"), F.coalesce("good", F.lit(False)).alias("good"))))
-    whole = joined.groupBy("row").agg(ordered.alias("steps"))
-    whole = whole.select("row", F.col("steps.n").alias("n"), F.col("steps.crc").alias("crc"), F.forall("steps", lambda s: s["good"]).alias("good"))
+    joined = joined.select("row", "after", F.coalesce("n", F.lit(0)).cast("long").alias("n"), F.coalesce("crc", F.lit(0)).cast("long").alias("crc"), F.coalesce("good", F.lit(False)).alias("good"))
 
-    def combine(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def move(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            crcs, sizes = [], []
-            for ns, cs in zip(batch.column("n").to_pylist(), batch.column("crc").to_pylist(), strict=True):
-                crc = 0
-                for n, c in zip(ns, cs, strict=True):
-                    crc = crc32_combine(crc, c, 4 * n)
-                crcs.append(crc)
-                sizes.append(sum(ns))
-            yield pa.RecordBatch.from_arrays([batch.column("row"), pa.array(sizes, pa.int64()), pa.array(crcs, pa.int64()), batch.column("good")], names=["row", "found", "ids_crc32", "good"])
-
-    sums = whole.mapInArrow(combine, "row long, found long, ids_crc32 long, good boolean")
-    listed, again = manifest(spark, folder), _manifest(held)
-    sound = listed.join(again.select("part", F.col("root").alias("root_again")), "part").select("part", "first", (F.col("root") == F.col("root_again")).alias("sound"))
+            crc = moved_on(batch.column("crc").to_numpy(), batch.column("after").to_numpy())
+            yield pa.RecordBatch.from_arrays([batch.column("row"), batch.column("n"), pa.array(crc.astype(np.int64)), batch.column("good")], names=["row", "n", "crc", "good"])
+
+    sums = joined.mapInArrow(move, "row long, n long, crc long, good boolean").groupBy("row")
+    sums = sums.agg(F.sum("n").alias("found"), F.bit_xor("crc").alias("ids_crc32"), F.bool_and("good").alias("good"))
     out = held.select("row", "doc_id", "part", "local_start", "n_tokens").join(sums, "row").join(F.broadcast(sound), "part")
     ok = F.col("good") & F.col("sound") & (F.col("found") == F.col("n_tokens"))
     return out.select("doc_id", (F.col("first") + F.col("local_start")).alias("start"), F.col("found").alias("n_tokens"), "ids_crc32", ok.alias("verified"))
@@ -332,12 +347,12 @@ def documents(spark: SparkSession, folder: str, wanted: DataFrame) -> DataFrame:
     held = steps.join(chunks(spark, folder), "digest").groupBy("row", "doc_id").agg(F.array_sort(F.collect_list(F.struct("at", "width", "payload"))).alias("steps"))
 
     def join_up(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        unpack = zstandard.ZstdDecompressor().decompress
         for batch in batches:
-            ids = [np.concatenate([np.frombuffer(unpack(s["payload"]), dtype=f"<u{s['width']}").astype(np.int64) for s in steps]) for steps in batch.column("steps").to_pylist()]
+            ids = [np.concatenate([np.frombuffer(s["payload"], dtype=f"<u{s['width']}").astype(np.int64) for s in steps]) for steps in batch.column("steps").to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(ids, pa.list_(pa.int64()))], names=["doc_id", "ids"])
 
-    return held.mapInArrow(join_up, "doc_id long, ids array<long>")
+    kind = held.schema["doc_id"].dataType.simpleString()
+    return held.mapInArrow(join_up, f"doc_id {kind}, ids array<long>")
 
 
 def round_trip(docs: DataFrame, tokenizer: str, end_id: int = 2, text: str = "text", key: str = "doc_id") -> DataFrame:
