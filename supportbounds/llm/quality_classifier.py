@@ -82,7 +82,8 @@ def fit(counts: np.ndarray, sums: np.ndarray, products: np.ndarray, shrink: floa
 
 def with_statistics(docs: DataFrame, text: str = "text", key: str = "doc_id") -> DataFrame:
     """key and x (array of the statistics), one row per document."""
-    plain = docs.select(F.col(key).cast("long").alias("key"), text_of(docs, text).alias("text"))
+    plain = docs.select(F.col(key).alias("key"), text_of(docs, text).alias("text"))
+    kind = plain.schema["key"].dataType.simpleString()
 
     def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -90,7 +91,7 @@ def with_statistics(docs: DataFrame, text: str = "text", key: str = "doc_id") ->
                 x = [statistics(t) for t in part.column("text").to_pylist()]
                 yield pa.RecordBatch.from_arrays([part.column("key"), pa.array(x, pa.list_(pa.float64()))], names=["key", "x"])
 
-    return plain.mapInArrow(add, "key long, x array<double>")
+    return plain.mapInArrow(add, f"key {kind}, x array<double>")
 
 
 def held_out(key: Column) -> Column:
@@ -101,7 +102,7 @@ def held_out(key: Column) -> Column:
 def train(rows: DataFrame, labels: DataFrame, label: str = "quality") -> Discriminant:
     """Fits on all labelled rows that are not held out; only sums reach the driver."""
     d = len(FEATURES)
-    known = labels.select(F.col("doc_id").cast("long").alias("key"), F.col(label).cast("int").alias("y")).where("key IS NOT NULL AND y IN (0, 1)")
+    known = labels.select(F.col("doc_id").alias("key"), F.col(label).cast("int").alias("y")).where("key IS NOT NULL AND y IN (0, 1)")
     joined = rows.where(~held_out(F.col("key"))).join(known, "key")
 
     def sums(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -127,7 +128,8 @@ def classify(docs: DataFrame, labels: DataFrame, text: str = "text", key: str =
     """key, held_out, score, predicted for every row of ``docs``.
 
     Null texts count as empty and get a score like any other; repeated rows get equal scores; without any labels the score is
-    one half; an empty table gives an empty result.
+    one half; texts of any length are measured whole; keys keep their type (rows without one are scored, and not held out); further columns do not matter; an
+    empty table gives an empty result.
     """
     rows = keep(with_statistics(docs, text, key), "document-statistics")
     model = train(rows, labels)
@@ -137,5 +139,6 @@ def classify(docs: DataFrame, labels: DataFrame, text: str = "text", key: str =
             x = batch.column("x").flatten().to_numpy().reshape(-1, len(FEATURES))
             yield pa.RecordBatch.from_arrays([batch.column("key"), pa.array(model.scores(x))], names=["key", "score"])
 
-    scored = rows.mapInArrow(score, "key long, score double")
+    kind = rows.schema["key"].dataType.simpleString()
+    scored = rows.mapInArrow(score, f"key {kind}, score double")
     return scored.select(F.col("key").alias(key), held_out(F.col("key")).alias("held_out"), "score", (F.col("score") >= threshold).cast("int").alias("predicted"))

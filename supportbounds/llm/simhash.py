@@ -99,6 +99,23 @@ def _partitions(total: int, parts: int, most: int | None = None) -> Iterator[lis
             yield [first, *rest]
 
 
+def segments_for(n: int, bits: int, most: float = 4.0) -> int:
+    """The fewest segments with which ``n`` evenly spread fingerprints give keys of ``most`` rows on average, or the most of those that come near."""
+
+    def rows(segments: int) -> float:
+        masks = segment_masks(bits, segments)
+        return n / 2 ** (min(m.bit_count() for m in masks) - 1)
+
+    possible = []
+    for segments in range(1, 9):
+        try:
+            possible.append((segments, rows(segments)))
+        except ValueError:
+            continue
+    fitting = [s for s, r in possible if r <= most]
+    return fitting[0] if fitting else min(possible, key=lambda p: p[1])[0]
+
+
 def index_keys(fingerprints: DataFrame, bits: int, segments: int) -> DataFrame:
     """One row (key, fp) for each segment combination and wildcard position of each fingerprint.
 
@@ -231,12 +248,14 @@ def _state(edges: DataFrame) -> tuple:
     return tuple(row)
 
 
-def near_duplicates(docs: DataFrame, text: str = "text", key: str = "doc_id", words: int = 4, bits: int = 4, segments: int = 3) -> DataFrame:
+def near_duplicates(docs: DataFrame, text: str = "text", key: str = "doc_id", words: int = 4, bits: int = 4, segments: int | None = None) -> DataFrame:
     """All columns of ``docs`` but the text, with fingerprint, component label and the least key of the component.
 
     Nulls: a null text is empty; an empty text has fingerprint zero and is linked like any other; a null key
     is ignored when the least key of a component is taken (null only if all its keys are). Repeated rows
-    have equal fingerprints and so share a component. An empty table gives an empty result.
+    have equal fingerprints and so share a component; texts of any length are hashed whole; further columns do not matter. An
+    empty table gives an empty result. ``segments``: by default as many as the number of different fingerprints asks for, so that keys stay selective;
+    the result does not depend on it.
     """
     prepared = docs.select(F.col(key).alias("__key"), text_of(docs, text).alias("__text"))
     rows = keep(with_fingerprints(prepared, "__text", words, "fp").select("__key", "fp"), "fingerprints")
@@ -249,13 +268,14 @@ def near_duplicates(docs: DataFrame, text: str = "text", key: str = "doc_id", wo
     return rows.join(named, "fp").select(F.col("__key").alias(key), F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
-def label_fingerprints(fps: DataFrame, bits: int = 4, segments: int = 3) -> DataFrame:
+def label_fingerprints(fps: DataFrame, bits: int = 4, segments: int | None = None) -> DataFrame:
     """(fp, label) for every fingerprint that is linked to another one."""
     distinct = keep(fps.distinct(), "distinct-fingerprints")
+    segments = segments or segments_for(distinct.count(), bits)
     return keep(components(links(distinct, bits, segments)).withColumnRenamed("node", "fp"), "labels")
 
 
-def drop_near_duplicates(docs: DataFrame, text: str = "text", key: str = "doc_id", words: int = 4, bits: int = 4, segments: int = 3) -> DataFrame:
+def drop_near_duplicates(docs: DataFrame, text: str = "text", key: str = "doc_id", words: int = 4, bits: int = 4, segments: int | None = None) -> DataFrame:
     """``docs`` with one row left of each component: the one with the least key (rows of one key: any one of them; null keys last)."""
     named = docs.withColumn("__sb_text", text_of(docs, text))
     rows = with_fingerprints(named, "__sb_text", words, "__sb_fp").drop("__sb_text").withColumn("__sb_row", F.monotonically_increasing_id())
