@@ -3,7 +3,7 @@
 The ids of a document are cut into chunks where a rolling hash of the last few ids meets a condition, so
 equal passages give equal chunks wherever they stand. A store is a folder of three Parquet tables:
 
-* ``chunks``   digest (SHA-256 of the ids as little-endian unsigned 16- or 32-bit integers), width, n ids, the ids;
+* ``chunks``   digest (SHA-256 of the ids as little-endian unsigned 16- or 32-bit integers), width, n ids, the ids compressed;
   each digest once
 * ``recipes``  one row per document in ascending doc_id order: start, n_tokens, digests of its chunks and where they end, leaf of the Merkle tree
 * ``manifest`` one row per recipe part: its rows, tokens and Merkle root
@@ -19,22 +19,26 @@ No stage has more than one Python worker for each core, and what a worker keeps
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
 import hashlib
 import itertools
 import json
 import os
+import sys
 import zlib
 from collections.abc import Callable, Iterator
 from functools import lru_cache, reduce
 
 import numpy as np
 import pyarrow as pa
+import zstandard
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
-from supportbounds.llm.bpe import TextEncoder
+from supportbounds.llm.bpe import PieceCache, TextEncoder
 from supportbounds.llm.common import new_folder, remove_folder, text_of
 from supportbounds.llm.quality_rules import slices
 
@@ -121,8 +125,8 @@ def _byte_letters() -> dict[int, str]:
 
 
 @lru_cache(maxsize=2)
-def _encoder(path: str) -> tuple[Callable[[list[str], int], tuple[np.ndarray, np.ndarray]], int]:
-    """Ids of several texts, and the largest id; loaded once per worker process, with the tables it fills.
+def _encoder(path: str) -> tuple[Callable[[list[str], int], tuple[np.ndarray, np.ndarray]], int, PieceCache]:
+    """Ids of several texts, the largest id, and the table that it fills; loaded once per worker process.
 
     A plain byte-level tokenizer is taken apart: texts are cut into pieces for many at once, and the
     library's model encodes each different piece. Any other tokenizer encodes text by text.
@@ -150,7 +154,17 @@ def _encoder(path: str) -> tuple[Callable[[list[str], int], tuple[np.ndarray, np
         out[np.arange(len(ids)) + np.repeat(np.arange(len(texts)), np.diff(at))] = ids
         return out, at + np.arange(len(texts) + 1)
 
-    return several, library.get_vocab_size() - 1
+    return several, library.get_vocab_size() - 1, coder.pieces
+
+
+def _give_back(pieces: PieceCache) -> None:
+    """Empties what a worker has gathered, so that it is small while it serves other stages."""
+    pieces.old = {}
+    pieces.clear()
+    pa.default_memory_pool().release_unused()
+    if sys.platform == "linux":
+        with contextlib.suppress(OSError, AttributeError):  # another C library: it keeps its pages
+            ctypes.CDLL(None).malloc_trim(0)
 
 
 def write(docs: DataFrame, folder: str, tokenizer: str, end_id: int = 2, text: str = "text", key: str = "doc_id") -> None:
@@ -164,9 +178,16 @@ def write(docs: DataFrame, folder: str, tokenizer: str, end_id: int = 2, text: s
     plain = docs.select(F.col(key).alias("doc_id"), F.monotonically_increasing_id().alias("row"), text_of(docs, text).alias("text"))
 
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        ids_of, most = _encoder(tokenizer)
+        ids_of, most, pieces = _encoder(tokenizer)
+        try:
+            yield from chunked(batches, ids_of, most)
+        finally:
+            _give_back(pieces)
+
+    def chunked(batches: Iterator[pa.RecordBatch], ids_of: Callable, most: int) -> Iterator[pa.RecordBatch]:
         seen: set[bytes] = set()
         width = 2 if max(most, end_id) < 1 << 16 else 4  # by the vocabulary, so that equal ids have equal digests everywhere
+        pack = zstandard.ZstdCompressor(level=1).compress
         for batch in batches:
             for part in slices(batch, "text", SLICE):
                 ids, at = ids_of(part.column("text").to_pylist(), end_id)
@@ -188,7 +209,7 @@ def write(docs: DataFrame, folder: str, tokenizer: str, end_id: int = 2, text: s
                             seen.add(digest)
                             digests.append(digest)
                             sizes.append(end - start)
-                            payloads.append(chunk)
+                            payloads.append(pack(chunk))
                         start = end
                     recipes.append(recipe)
                     ends_of.append(span)
@@ -203,20 +224,13 @@ def write(docs: DataFrame, folder: str, tokenizer: str, end_id: int = 2, text: s
                     names=["digest", "doc_id", "row", "n", "width", "payload", "recipe", "ends"],
                 )
 
-    def one_of_each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        previous = None
-        for batch in batches:
-            digests = batch.column("digest").to_pylist()
-            fresh = [a != b for a, b in zip(digests, [previous, *digests], strict=False)]
-            previous = digests[-1] if digests else previous
-            yield batch.filter(pa.array(fresh))
-
     kind = plain.schema["doc_id"].dataType.simpleString()
     schema = f"digest binary, doc_id {kind}, row long, n long, width int, payload binary, recipe array<binary>, ends array<int>"
-    moved = plain.mapInArrow(encode, schema).repartition("digest").sortWithinPartitions("digest")
-    kept = moved.mapInArrow(one_of_each, schema).withColumn("kind", F.when(F.col("payload").isNull(), "recipe").otherwise("chunk"))
+    first = F.row_number().over(Window.partitionBy("digest").orderBy("digest")) == 1
+    kept = plain.mapInArrow(encode, schema).withColumn("first", first).where("first").drop("first")
+    kept = kept.withColumn("kind", F.when(F.col("payload").isNull(), "recipe").otherwise("chunk"))
     staged = f"{folder}/staged"
-    kept.write.partitionBy("kind").option("compression", "zstd").parquet(staged)
+    kept.write.partitionBy("kind").option("compression", "none").parquet(staged)
     # the chunks stay where they are; recipes are put in order, and their first form goes
     held = spark.read.schema(schema + ", kind string").parquet(staged).where("kind = 'recipe'").select("doc_id", "row", "n", "recipe", "ends")
     _write_recipes(held, folder, kind)
@@ -299,9 +313,11 @@ def verified_chunks(spark: SparkSession, folder: str) -> DataFrame:
     """digest, n, crc (of the ids as unsigned 32-bit integers), good (the stored ids have this digest and number)."""
 
     def check(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        unpack = zstandard.ZstdDecompressor().decompress
         for batch in batches:
             crc, good = [], []
-            for digest, n, width, raw in zip(*(batch.column(c).to_pylist() for c in ("digest", "n", "width", "payload")), strict=True):
+            for digest, n, width, payload in zip(*(batch.column(c).to_pylist() for c in ("digest", "n", "width", "payload")), strict=True):
+                raw = unpack(payload)
                 good.append(hashlib.sha256(raw).digest() == digest and len(raw) == n * width)
                 crc.append(zlib.crc32(np.frombuffer(raw, dtype=f"<u{width}").astype("<u4").tobytes()))
             yield pa.RecordBatch.from_arrays([batch.column("digest"), batch.column("n"), pa.array(crc, pa.int64()), pa.array(good)], names=["digest", "n", "crc", "good"])
@@ -347,8 +363,9 @@ def documents(spark: SparkSession, folder: str, wanted: DataFrame) -> DataFrame:
     held = steps.join(chunks(spark, folder), "digest").groupBy("row", "doc_id").agg(F.array_sort(F.collect_list(F.struct("at", "width", "payload"))).alias("steps"))
 
     def join_up(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        unpack = zstandard.ZstdDecompressor().decompress
         for batch in batches:
-            ids = [np.concatenate([np.frombuffer(s["payload"], dtype=f"<u{s['width']}").astype(np.int64) for s in steps]) for steps in batch.column("steps").to_pylist()]
+            ids = [np.concatenate([np.frombuffer(unpack(s["payload"]), dtype=f"<u{s['width']}").astype(np.int64) for s in steps]) for steps in batch.column("steps").to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(ids, pa.list_(pa.int64()))], names=["doc_id", "ids"])
 
     kind = held.schema["doc_id"].dataType.simpleString()
