@@ -42,21 +42,28 @@ from supportbounds.llm.bpe import PieceCache, TextEncoder
 from supportbounds.llm.common import new_folder, remove_folder, text_of
 from supportbounds.llm.quality_rules import slices
 
-WINDOW, MASK_BITS, MAX_CHUNK = 12, 9, 4096
+WINDOW, MASK_BITS, MAX_CHUNK = 12, 9, 4096  # the window is summed up as 8 + 4
 #: What a worker keeps and works on at once: encoded pieces, digests already sent, bytes of text.
-PIECES, SEEN, SLICE = 100_000, 50_000, 1_000_000
+PIECES, SEEN, SLICE = 150_000, 50_000, 4_000_000
 _RANDOM = np.random.default_rng(20_24).integers(0, 1 << 63, size=1 << 16, dtype=np.uint64)
 
 
 def marks(ids: np.ndarray) -> np.ndarray:
     """Places after which a chunk may end: where the hash of the last WINDOW ids has MASK_BITS zeros on top."""
-    mixed = _RANDOM[ids & 0xFFFF]
-    rolling = mixed.copy()
-    for k in range(1, min(WINDOW, len(ids))):
-        rolling[k:] += mixed[:-k] << np.uint64(k)
+    # the sum over a window from those over its halves: id i places back is shifted by i
+    held = {1: _RANDOM[ids & 0xFFFF]}
+    for size in (1, 2, 4):
+        held[2 * size] = _joined(held[size], held[size], size)
+    rolling = _joined(held[8], held[4], 8)
     return np.flatnonzero((rolling >> np.uint64(64 - MASK_BITS)) == 0) + 1
 
 
+def _joined(near: np.ndarray, far: np.ndarray, size: int) -> np.ndarray:
+    out = near.copy()
+    out[size:] += far[:-size] << np.uint64(size)
+    return out
+
+
 def cut_points(n: int, marks: list[int]) -> list[int]:
     """Ends of the chunks of a document of ``n`` ids with the given marks.
 
@@ -213,7 +220,7 @@ def write(docs: DataFrame, folder: str, tokenizer: str, end_id: int = 2, text: s
                         start = end
                     recipes.append(recipe)
                     ends_of.append(span)
-                    names.append(hashlib.md5(b"%d" % row).digest())  # recipes are only to be spread evenly
+                    names.append(b"%d" % row)  # recipes are only to be spread evenly
                 c, d = len(digests), part.num_rows
                 yield pa.RecordBatch.from_arrays(
                     [
