@@ -5,6 +5,7 @@ from __future__ import annotations
 import itertools
 import tempfile
 import uuid
+from collections.abc import Callable
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -101,8 +102,38 @@ class Lookup:
         return found[0]
 
 
+    def marked(self, df: DataFrame, values: str, key: Callable[[Column], tuple[Column, Column]], out: str) -> DataFrame:
+        """Adds ``out``: for each place of the array ``values``, whether the key of what is there is one of the set.
+
+        Keys are columns of their own, so that none is made more than once; conditions on ``out`` must not be pushed below it.
+        """
+        df = df.withColumns({"__lookup_h1": F.transform(values, lambda x: key(x)[0]), "__lookup_h2": F.transform(values, lambda x: key(x)[1])})
+        return df.withColumn(out, F.transform("__lookup_h1", lambda h, i: self.holds(h, F.get("__lookup_h2", i)))).drop("__lookup_h1", "__lookup_h2")
+
+
 def lookup(keys: DataFrame, most: int = LOOKUP_KEYS) -> Lookup | None:
     """The distinct keys (h1, h2) as a list to look things up in, or None if there are more than ``most``."""
     if keys.count() > most:
         return None
     return Lookup([(r.h1, r.h2) for r in keys.select("h1", "h2").collect()])
+
+
+#: Bits of a bitmap are in rows of 32,768; so many rows at most: 16 MB in all, whatever the input.
+_BITMAP_ROWS = 4096
+
+
+def _slot(key: Column) -> Column:
+    """A place among 2^27, from the key's hash."""
+    return F.pmod(F.xxhash64(key), F.lit(_BITMAP_ROWS * 32768))
+
+
+def with_hint(rows: DataFrame, keys: DataFrame, key: str, out: str) -> DataFrame:
+    """Adds ``out``: false if the row's key is surely not among ``keys``; the bitmap that is broadcast has a fixed size."""
+    slots = keys.select(_slot(F.col(key)).alias("slot"))
+    bitmap = slots.groupBy(F.floor(F.col("slot") / 32768).cast("int").alias("__block")).agg(F.bitmap_construct_agg(F.col("slot") % 32768).alias("__bits"))
+    named = rows.withColumn("__slot", _slot(F.col(key)))
+    named = named.withColumn("__block", F.floor(F.col("__slot") / 32768).cast("int"))
+    at = F.col("__slot") % 32768
+    byte = F.conv(F.hex(F.substring("__bits", (at / 8).cast("int") + 1, F.lit(1))), 16, 10).cast("int")
+    found = F.coalesce(F.getbit(byte, (at % 8).cast("int")) == 1, F.lit(False))
+    return named.join(F.broadcast(bitmap), "__block", "left").withColumn(out, found).drop("__block", "__bits", "__slot")

@@ -19,14 +19,11 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from supportbounds.llm.common import keep, new_folder, text_of
+from supportbounds.llm.common import keep, new_folder, text_of, with_hint
 
 ROCKSDB = "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"
 #: The store, and no space set aside for files that stay small (each partition of the state has its own).
 _STORE = {"spark.sql.streaming.stateStore.providerClass": ROCKSDB, "spark.sql.streaming.stateStore.rocksdb.allowFAllocate": "false"}
-#: Bits of the bitmap are in rows of 32,768; so many rows at most: 16 MB in all, whatever the input.
-_BITMAP_ROWS = 4096
-
 
 def sha256(text: Column) -> Column:
     return F.unhex(F.sha2(text, 256))
@@ -67,22 +64,6 @@ def state(spark: SparkSession, changes: str, kind: str = "long") -> DataFrame:
     return spark.read.schema(fields).parquet(changes).groupBy("digest").agg(F.max("place").alias("place"), F.max("n").alias("n"))
 
 
-def _slot(digest: Column) -> Column:
-    """A place among 2^27, from the digest's hash."""
-    return F.pmod(F.xxhash64(digest), F.lit(_BITMAP_ROWS * 32768))
-
-
-def may_be_hit(rows: DataFrame, hits: DataFrame) -> DataFrame:
-    """The rows whose digest is among the hits, and a few others; the bitmap that is broadcast has a fixed size."""
-    slots = hits.select(_slot(F.col("digest")).alias("slot"))
-    bitmap = slots.groupBy(F.floor(F.col("slot") / 32768).cast("int").alias("block")).agg(F.bitmap_construct_agg(F.col("slot") % 32768).alias("bits"))
-    named = rows.withColumn("__slot", _slot(F.col("digest")))
-    named = named.withColumn("block", F.floor(F.col("__slot") / 32768).cast("int"))
-    at = F.col("__slot") % 32768
-    byte = F.conv(F.hex(F.substring("bits", (at / 8).cast("int") + 1, F.lit(1))), 16, 10).cast("int")
-    return named.join(F.broadcast(bitmap), "block").where(F.getbit(byte, (at % 8).cast("int")) == 1).drop("block", "bits", "__slot")
-
-
 def find(spark: SparkSession, path: str, text: str = "text", key: str = "doc_id", digest: Callable[[Column], Column] = sha256, max_files: int | None = None, folder: str | None = None) -> DataFrame:
     """One row per row of the Parquet table at ``path``: key, keep_id, group_size, kept, text_sha256.
 
@@ -103,7 +84,7 @@ def find(spark: SparkSession, path: str, text: str = "text", key: str = "doc_id"
     place = F.struct(F.col(key).isNotNull().alias("known"), F.col(key).alias("id"), F.col("_metadata.file_path").alias("file"), F.col("_metadata.row_index").alias("row"))
     rows = docs.select(F.col(key).alias("id"), text_of(docs, text).alias("text"), place.alias("place"))
     rows = rows.withColumn("digest", digest(F.col("text")))
-    groups = may_be_hit(rows, hits).groupBy("digest", "text").agg(F.count("*").alias("n"), F.max("place").alias("place"))
+    groups = with_hint(rows, hits, "digest", "__hit").where("__hit").groupBy("digest", "text").agg(F.count("*").alias("n"), F.max("place").alias("place"))
     checked = keep(groups.select("digest", F.sha2("text", 256).alias("text_sha256"), "n", "place"), "checked-groups")
     told = checked.groupBy("digest").agg(F.count("*").alias("texts"), F.max("place").alias("found_place"), F.sum("n").alias("found_n"))
     compared = keep(hits.join(told, "digest", "left"), "compared-hits")

@@ -94,23 +94,20 @@ def remove_lines(
         salt = F.when(text_of(docs, text).rlike(r"\S"), d1).otherwise(F.monotonically_increasing_id())
         df = df.withColumns({"__sb_d1": salt, "__sb_d2": d2}).join(own, ["__sb_d1", "__sb_d2"], "left")
 
-    def spread_line(cut: Column) -> Column:
-        h1, h2 = _key(cut)
-        if known is not None:
-            return known.holds(h1, h2)
-        return F.coalesce(F.array_contains("__sb_drop", F.struct(h1.alias("h1"), h2.alias("h2"))), F.lit(False))
-
-    def stays(line: Column) -> Column:
-        cut = _trimmed(line)
-        return F.when(cut == "", True).otherwise(~spread_line(cut))
-
-    filled = lambda lines: F.size(F.filter(lines, lambda x: _trimmed(x) != "")).cast("long")
     df = df.withColumn("__sb_lines", F.split(text_of(df, text), "\n"))
-    df = df.withColumn("__sb_left", F.filter("__sb_lines", stays))
+    df = df.withColumn("__sb_cut", F.transform("__sb_lines", _trimmed))
+    if known is not None:
+        df = known.marked(df, "__sb_cut", _key, "__sb_hit")
+    else:
+        listed = lambda x: F.coalesce(F.array_contains("__sb_drop", F.struct(_key(x)[0].alias("h1"), _key(x)[1].alias("h2"))), F.lit(False))
+        df = df.withColumn("__sb_hit", F.transform("__sb_cut", listed))
+    # blank lines are never among the spread ones
+    df = df.withColumn("__sb_left", F.filter("__sb_lines", lambda x, i: ~F.get("__sb_hit", i)))
+    filled = F.size(F.filter("__sb_cut", lambda x: x != "")).cast("long")
     cut = F.size("__sb_left") < F.size("__sb_lines")
     out = [F.when(cut, F.array_join("__sb_left", "\n")).otherwise(F.col(c)).alias(c) if c == text else F.col(c) for c in docs.columns]
     if counts:
-        out += [filled("__sb_lines").alias(counts[0]), (F.size("__sb_lines") - F.size("__sb_left")).cast("long").alias(counts[1])]
+        out += [filled.alias(counts[0]), (F.size("__sb_lines") - F.size("__sb_left")).cast("long").alias(counts[1])]
     return df.select(*out)
 
 

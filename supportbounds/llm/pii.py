@@ -163,23 +163,47 @@ def _meetings(rows: DataFrame, least: int) -> tuple[DataFrame, DataFrame] | None
     return None if met.isEmpty() else (met, shared)
 
 
-def _occurrences(docs: DataFrame, terms: DataFrame, text: str) -> DataFrame:
-    """(d1, d2, found): places and lower-cased values of the given terms in each different text that has one; terms inside addresses are left out."""
-    key = lambda t: (F.xxhash64(t), F.xxhash64(F.lit(1), t))
-    h1, h2 = key(F.col("term"))
+def _term_key(term: Column) -> tuple[Column, Column]:
+    return F.xxhash64(term), F.xxhash64(F.lit(1), term)
+
+
+def _texts_with(docs: DataFrame, terms: DataFrame, text: str) -> DataFrame:
+    """(d1, d2, text, own): rows whose text has one of the terms, and those that it has, once each."""
+    h1, h2 = _term_key(F.col("term"))
     known = lookup(terms.select(h1.alias("h1"), h2.alias("h2")))
     whole = text_of(docs, text)
     d1, d2 = _digest(whole)
     df = docs.select(d1.alias("d1"), d2.alias("d2"), whole.alias("text"))
+    df = df.withColumn("words", F.array_distinct(F.regexp_extract_all(F.lower("text"), F.lit(_TERM), F.lit(0))))
     if known is None:  # too many terms for a list: the texts that have one are told by a join
-        own = df.select("d1", "d2", F.explode(F.array_distinct(F.regexp_extract_all(F.lower("text"), F.lit(_TERM), F.lit(0)))).alias("term"))
-        own = own.join(terms, "term", "left_semi").distinct().groupBy("d1", "d2").agg(F.collect_list("term").alias("own"))
-        df = df.join(keep(own, "terms-of-texts"), ["d1", "d2"])
-        is_one = lambda t: F.array_contains("own", t)
-    else:
-        is_one = lambda t: known.holds(*key(t))
-        df = df.where(F.exists(F.regexp_extract_all(F.lower("text"), F.lit(_TERM), F.lit(0)), is_one))
-    df = df.dropDuplicates(["d1", "d2"])
+        own = df.select("d1", "d2", F.explode("words").alias("term")).join(terms, "term", "left_semi").distinct()
+        return df.drop("words").join(keep(own.groupBy("d1", "d2").agg(F.collect_list("term").alias("own")), "terms-of-texts"), ["d1", "d2"])
+    marked = known.marked(df, "words", _term_key, "listed")
+    return marked.select("d1", "d2", "text", F.filter("words", lambda t, i: F.get("listed", i)).alias("own"))
+
+
+def _frequencies(docs: DataFrame, met: DataFrame, text: str, prior: float, generalise_at: float) -> DataFrame:
+    """(term, n_t) of the terms in ``met`` that are rare enough to disclose something: in how many different texts each stands.
+
+    Sketches of the texts of each term (merged in every task) leave out frequent terms before any text is counted exactly.
+    """
+    terms = keep(met.groupBy("term").agg(F.max("n_ct").alias("most")), "pii-terms")
+    stands = keep(_texts_with(docs, terms.select("term"), text).select("d1", F.explode("own").alias("term")).groupBy("term").agg(F.approx_count_distinct("d1", 0.05).alias("about")), "pii-frequencies")
+    # five standard errors below the estimate
+    rare = stands.join(terms, "term").where(F.col("most") >= generalise_at * (0.75 * F.col("about") + prior))
+    rare = keep(rare.select("term"), "pii-rare-terms")
+    if rare.isEmpty():
+        return rare.withColumn("n_t", F.lit(0).cast("long"))
+    exact = _texts_with(docs, rare, text).select("d1", "d2", F.explode("own").alias("term")).distinct()
+    return keep(exact.groupBy("term").agg(F.count("*").alias("n_t")), "pii-exact-frequencies")
+
+
+def _occurrences(docs: DataFrame, terms: DataFrame, text: str) -> DataFrame:
+    """(d1, d2, found): places and lower-cased values of the given terms in each different text that has one; terms inside addresses are left out."""
+    df = _texts_with(docs, terms, text)
+    # the texts that have none are left behind before places are looked for; the row number keeps the condition where it is
+    df = df.withColumn("number", F.monotonically_increasing_id()).where(F.size("own") > 0).drop("number")
+    df = keep(df.dropDuplicates(["d1", "d2"]), "texts-with-terms")
     blank = lambda p, h: F.concat(p, F.repeat(F.lit(" "), F.length(F.coalesce(h, F.lit("")))))
     df = df.withColumn("mail", F.regexp_extract_all("text", F.lit(KINDS["email"]), F.lit(0)))
     df = df.withColumn("masked", F.when(F.size("mail") > 0, F.array_join(F.zip_with(F.split("text", KINDS["email"], -1), "mail", blank), "")).otherwise(F.col("text")))
@@ -187,7 +211,7 @@ def _occurrences(docs: DataFrame, terms: DataFrame, text: str) -> DataFrame:
     df = located(df, {("parts", "hits"): "all"})
     # no condition on what is found: it would be pushed below the arrays, which would then be made anew for each element
     span = lambda x: F.struct(x["start"].alias("start"), x["end"].alias("end"), F.lower(x["value"]).alias("term"))
-    return keep(df.select("d1", "d2", F.filter(F.transform("all", span), lambda x: is_one(x["term"])).alias("found")), "term-places")
+    return keep(df.select("d1", "d2", F.filter(F.transform("all", span), lambda x: F.array_contains("own", x["term"])).alias("found")), "term-places")
 
 
 def disclosing_spans(
@@ -197,17 +221,20 @@ def disclosing_spans(
     spark = docs.sparkSession
     # fewer texts than this cannot reach the lower threshold, however they are distributed
     least = max(1, ceil(prior * generalise_at / (1 - generalise_at) - 1e-9))
+    none = spark.createDataFrame([], "d1 long, d2 long, terms array<struct<start:int,end:int,action:string>>")
     found = _meetings(rows, least)
     if found is None:
-        return spark.createDataFrame([], "d1 long, d2 long, terms array<struct<start:int,end:int,action:string>>")
+        return none
     met, shared = found
-    places = _occurrences(docs, keep(met.select("term").distinct(), "pii-terms"), text)
-    frequencies = places.select(F.explode(F.array_distinct(F.transform("found", lambda x: x["term"]))).alias("term")).groupBy("term").agg(F.count("*").alias("n_t"))
+    frequencies = _frequencies(docs, met, text, prior, generalise_at)
     total = rows.select("d1", "d2").distinct().count()
     scored = met.join(shared, "entity").join(frequencies, "term").withColumn("p", F.col("n_ct") / (F.greatest("n_t", "n_ct") + prior))
     pmi, information = F.log2(F.col("p") * total / F.col("n_c")), F.log2(F.lit(float(total)) / F.col("n_c"))
     scored = scored.where((F.col("p") >= generalise_at) & (2 * pmi >= information) & (information > 0))
     told = keep(scored.groupBy("term").agg(F.max("p").alias("p")), "disclosing-terms")
+    if told.isEmpty():
+        return none
+    places = _occurrences(docs, told.select("term"), text)
     action = F.when(F.col("p") >= remove_at, "remove").otherwise("generalise").alias("action")
     hit = places.select("d1", "d2", F.explode("found").alias("x")).select("d1", "d2", F.col("x.term").alias("term"), F.col("x.start").alias("start"), F.col("x.end").alias("end"))
     hit = hit.join(told.select("term", action), "term")

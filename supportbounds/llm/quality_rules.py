@@ -221,12 +221,13 @@ def reject(
         own = own.select(F.col("host").alias("__sb_host"), F.col("text_key").alias("__sb_text"), F.col("own").alias("__sb_own"))
         left = left.join(own, ["__sb_host", "__sb_text"], "left")
 
-    def over(line: Column) -> Column:
-        hashed = F.xxhash64(_normalised(line))
-        return F.coalesce(F.array_contains("__sb_own", hashed), F.lit(False)) if known is None else known.holds(*key(F.col("__sb_host"), hashed))
-
     left = left.withColumn("__sb_lines", F.split(text_of(left, text), "\n"))
-    left = left.withColumn("__sb_left", F.filter("__sb_lines", lambda x: ~over(x)))
+    left = left.withColumn("__sb_hashes", F.transform("__sb_lines", lambda x: F.xxhash64(_normalised(x))))
+    if known is None:
+        left = left.withColumn("__sb_over", F.transform("__sb_hashes", lambda h: F.coalesce(F.array_contains("__sb_own", h), F.lit(False))))
+    else:
+        left = known.marked(left, "__sb_hashes", lambda h: key(F.col("__sb_host"), h), "__sb_over")
+    left = left.withColumn("__sb_left", F.filter("__sb_lines", lambda x, i: ~F.get("__sb_over", i)))
     cut = F.size("__sb_left") < F.size("__sb_lines")
     return left.select(*[F.when(cut, F.array_join("__sb_left", "\n")).otherwise(F.col(c)).alias(c) if c == text else F.col(c) for c in docs.columns])
 
