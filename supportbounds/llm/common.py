@@ -72,14 +72,14 @@ def bytes_on_disk(df: DataFrame) -> int:
     return int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
 
 
-#: So many keys at most are handed to every task as one list (8 MB or so); more of them are joined.
-LOOKUP_KEYS = 200_000
+#: So many keys at most are handed to every task as one list (2 MB or so); more of them are joined.
+LOOKUP_KEYS = 50_000
 
 
 class Lookup:
     """A set of keys (h1, h2) that expressions can test, without moving the rows that are tested.
 
-    The keys become one constant array: h1 tells the bucket, a few places wide, and h2 stands in one of its places.
+    The keys become a few constant arrays: h1 tells the bucket, and h2 stands at the bucket's place in one of the arrays.
     """
 
     def __init__(self, keys: list[tuple[int, int]]):
@@ -87,21 +87,17 @@ class Lookup:
         held: list[list[int]] = [[] for _ in range(self.buckets)]
         for h1, h2 in keys:
             held[h1 % self.buckets].append(h2)
-        self.width = max(map(len, held))
-        places = ",".join(str(h) for own in held for h in own + [0] * (self.width - len(own)))
-        # one string for the planner to fold, instead of a literal for each key
-        self.places = F.split(F.lit(places), ",").cast("array<bigint>") if self.width else None
+        rows = [",".join(str(own[i]) if i < len(own) else "0" for own in held) for i in range(max(map(len, held)))]
+        # strings for the planner to fold, instead of a literal for each key
+        self.places = [F.split(F.lit(row), ",").cast("array<bigint>") for row in rows]
 
     def holds(self, h1: Column, h2: Column) -> Column:
-        if self.places is None:
-            return F.lit(False)
-        first = (F.pmod(h1, F.lit(self.buckets)) * self.width).cast("int")
-        found = [F.get(self.places, first + i) == h2 for i in range(self.width)]
+        bucket = F.pmod(h1, F.lit(self.buckets)).cast("int")
+        found = [F.get(row, bucket) == h2 for row in self.places] or [F.lit(False)]
         while len(found) > 1:
             found = [a | b for a, b in itertools.zip_longest(found[::2], found[1::2], fillvalue=F.lit(False))]
         return found[0]
 
-
     def marked(self, df: DataFrame, values: str, key: Callable[[Column], tuple[Column, Column]], out: str) -> DataFrame:
         """Adds ``out``: for each place of the array ``values``, whether the key of what is there is one of the set.
 

@@ -23,7 +23,7 @@ from math import ceil
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from supportbounds.llm.common import LOOKUP_KEYS, keep, lookup, text_of
+from supportbounds.llm.common import LOOKUP_KEYS, keep, lookup, text_of, with_hint
 
 #: Kind and pattern, in the order of the output. Each is written so that a search takes time in proportion to the
 #: text: possessive runs, and starts only where a run starts (or where the last match ended, \G).
@@ -163,47 +163,34 @@ def _meetings(rows: DataFrame, least: int) -> tuple[DataFrame, DataFrame] | None
     return None if met.isEmpty() else (met, shared)
 
 
-def _term_key(term: Column) -> tuple[Column, Column]:
-    return F.xxhash64(term), F.xxhash64(F.lit(1), term)
-
-
-def _texts_with(docs: DataFrame, terms: DataFrame, text: str) -> DataFrame:
-    """(d1, d2, text, own): rows whose text has one of the terms, and those that it has, once each."""
-    h1, h2 = _term_key(F.col("term"))
-    known = lookup(terms.select(h1.alias("h1"), h2.alias("h2")))
+def _terms_of(docs: DataFrame, text: str) -> DataFrame:
+    """(d1, d2, h): the hash of each different term of each row's text."""
     whole = text_of(docs, text)
     d1, d2 = _digest(whole)
-    df = docs.select(d1.alias("d1"), d2.alias("d2"), whole.alias("text"))
-    df = df.withColumn("words", F.array_distinct(F.regexp_extract_all(F.lower("text"), F.lit(_TERM), F.lit(0))))
-    if known is None:  # too many terms for a list: the texts that have one are told by a join
-        own = df.select("d1", "d2", F.explode("words").alias("term")).join(terms, "term", "left_semi").distinct()
-        return df.drop("words").join(keep(own.groupBy("d1", "d2").agg(F.collect_list("term").alias("own")), "terms-of-texts"), ["d1", "d2"])
-    marked = known.marked(df, "words", _term_key, "listed")
-    return marked.select("d1", "d2", "text", F.filter("words", lambda t, i: F.get("listed", i)).alias("own"))
+    words = F.array_distinct(F.transform(F.regexp_extract_all(F.lower(whole), F.lit(_TERM), F.lit(0)), lambda t: F.xxhash64(t)))
+    return docs.select(d1.alias("d1"), d2.alias("d2"), F.explode(words).alias("h"))
 
 
-def _frequencies(docs: DataFrame, met: DataFrame, text: str, prior: float, generalise_at: float) -> DataFrame:
-    """(term, n_t) of the terms in ``met`` that are rare enough to disclose something: in how many different texts each stands.
+def _holders(docs: DataFrame, met: DataFrame, text: str, prior: float, generalise_at: float, part: int = 64) -> DataFrame:
+    """(d1, d2, term): which different texts hold the terms of ``met`` that may be rare enough to disclose something.
 
-    Sketches of the texts of each term (merged in every task) leave out frequent terms before any text is counted exactly.
+    A term that many of one part of all texts hold is in at least as many texts, so frequent terms leave before rows are moved; no other one does.
     """
-    terms = keep(met.groupBy("term").agg(F.max("n_ct").alias("most")), "pii-terms")
-    stands = keep(_texts_with(docs, terms.select("term"), text).select("d1", F.explode("own").alias("term")).groupBy("term").agg(F.approx_count_distinct("d1", 0.05).alias("about")), "pii-frequencies")
-    # five standard errors below the estimate
-    rare = stands.join(terms, "term").where(F.col("most") >= generalise_at * (0.75 * F.col("about") + prior))
-    rare = keep(rare.select("term"), "pii-rare-terms")
-    if rare.isEmpty():
-        return rare.withColumn("n_t", F.lit(0).cast("long"))
-    exact = _texts_with(docs, rare, text).select("d1", "d2", F.explode("own").alias("term")).distinct()
-    return keep(exact.groupBy("term").agg(F.count("*").alias("n_t")), "pii-exact-frequencies")
-
-
-def _occurrences(docs: DataFrame, terms: DataFrame, text: str) -> DataFrame:
-    """(d1, d2, found): places and lower-cased values of the given terms in each different text that has one; terms inside addresses are left out."""
-    df = _texts_with(docs, terms, text)
-    # the texts that have none are left behind before places are looked for; the row number keeps the condition where it is
-    df = df.withColumn("number", F.monotonically_increasing_id()).where(F.size("own") > 0).drop("number")
-    df = keep(df.dropDuplicates(["d1", "d2"]), "texts-with-terms")
+    terms = keep(met.groupBy("term").agg(F.max("n_ct").alias("most")).withColumn("h", F.xxhash64("term")), "pii-terms")
+    share = docs.where(F.pmod(F.xxhash64(text_of(docs, text)), F.lit(part)) == 0)
+    least = _terms_of(share, text).join(terms.select("h"), "h", "left_semi").groupBy("h").agg(F.count_distinct("d1").alias("least"))
+    rare = terms.join(least, "h", "left").where(F.col("most") >= generalise_at * (F.coalesce("least", F.lit(0)) + prior))
+    rare = keep(rare.select("h", "term"), "pii-rare-terms")
+    return keep(_terms_of(docs, text).join(rare, "h").select("d1", "d2", "term").distinct(), "term-holders")
+
+
+def _occurrences(docs: DataFrame, own: DataFrame, text: str) -> DataFrame:
+    """(d1, d2, found): places and lower-cased values of the terms that ``own`` lists for a text; terms inside addresses are left out."""
+    whole = text_of(docs, text)
+    d1, d2 = _digest(whole)
+    df = with_hint(docs.select(d1.alias("d1"), d2.alias("d2"), whole.alias("text")), own, "d1", "hinted").where("hinted").drop("hinted")
+    # the other texts are left behind before places are looked for
+    df = keep(df.join(own, ["d1", "d2"]).dropDuplicates(["d1", "d2"]), "texts-with-terms")
     blank = lambda p, h: F.concat(p, F.repeat(F.lit(" "), F.length(F.coalesce(h, F.lit("")))))
     df = df.withColumn("mail", F.regexp_extract_all("text", F.lit(KINDS["email"]), F.lit(0)))
     df = df.withColumn("masked", F.when(F.size("mail") > 0, F.array_join(F.zip_with(F.split("text", KINDS["email"], -1), "mail", blank), "")).otherwise(F.col("text")))
@@ -226,7 +213,8 @@ def disclosing_spans(
     if found is None:
         return none
     met, shared = found
-    frequencies = _frequencies(docs, met, text, prior, generalise_at)
+    holders = _holders(docs, met, text, prior, generalise_at)
+    frequencies = holders.groupBy("term").agg(F.count("*").alias("n_t"))
     total = rows.select("d1", "d2").distinct().count()
     scored = met.join(shared, "entity").join(frequencies, "term").withColumn("p", F.col("n_ct") / (F.greatest("n_t", "n_ct") + prior))
     pmi, information = F.log2(F.col("p") * total / F.col("n_c")), F.log2(F.lit(float(total)) / F.col("n_c"))
@@ -234,7 +222,8 @@ def disclosing_spans(
     told = keep(scored.groupBy("term").agg(F.max("p").alias("p")), "disclosing-terms")
     if told.isEmpty():
         return none
-    places = _occurrences(docs, told.select("term"), text)
+    own = keep(holders.join(told, "term", "left_semi").groupBy("d1", "d2").agg(F.collect_list("term").alias("own")), "terms-of-texts")
+    places = _occurrences(docs, own, text)
     action = F.when(F.col("p") >= remove_at, "remove").otherwise("generalise").alias("action")
     hit = places.select("d1", "d2", F.explode("found").alias("x")).select("d1", "d2", F.col("x.term").alias("term"), F.col("x.start").alias("start"), F.col("x.end").alias("end"))
     hit = hit.join(told.select("term", action), "term")
@@ -266,7 +255,7 @@ def _with_terms(docs: DataFrame, hits: DataFrame, lookup_keys: int) -> DataFrame
     known = lookup(hits.select(F.col("d1").alias("h1"), F.col("d2").alias("h2")), lookup_keys)
     if known is None:
         return df.join(named, ["__d1", "__d2"], "left")
-    if known.places is None:
+    if not known.places:
         return df.withColumn("__terms", none)
     listed = known.holds(F.col("__d1"), F.col("__d2"))
     return df.where(listed).join(named, ["__d1", "__d2"], "left").unionByName(df.where(~listed).withColumn("__terms", none))
