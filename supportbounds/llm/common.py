@@ -114,22 +114,15 @@ def lookup(keys: DataFrame, most: int = LOOKUP_KEYS) -> Lookup | None:
     return Lookup([(r.h1, r.h2) for r in keys.select("h1", "h2").collect()])
 
 
-#: Bits of a bitmap are in rows of 32,768; so many rows at most: 16 MB in all, whatever the input.
-_BITMAP_ROWS = 4096
-
-
-def _slot(key: Column) -> Column:
-    """A place among 2^27, from the key's hash."""
-    return F.pmod(F.xxhash64(key), F.lit(_BITMAP_ROWS * 32768))
+#: Places of a bitmap: 2^20 words of 64 bits, 16 MB of keys and words at most, whatever the input.
+_BITMAP = 1 << 26
 
 
 def with_hint(rows: DataFrame, keys: DataFrame, key: str, out: str) -> DataFrame:
     """Adds ``out``: false if the row's key is surely not among ``keys``; the bitmap that is broadcast has a fixed size."""
-    slots = keys.select(_slot(F.col(key)).alias("slot"))
-    bitmap = slots.groupBy(F.floor(F.col("slot") / 32768).cast("int").alias("__block")).agg(F.bitmap_construct_agg(F.col("slot") % 32768).alias("__bits"))
-    named = rows.withColumn("__slot", _slot(F.col(key)))
-    named = named.withColumn("__block", F.floor(F.col("__slot") / 32768).cast("int"))
-    at = F.col("__slot") % 32768
-    byte = F.conv(F.hex(F.substring("__bits", (at / 8).cast("int") + 1, F.lit(1))), 16, 10).cast("int")
-    found = F.coalesce(F.getbit(byte, (at % 8).cast("int")) == 1, F.lit(False))
-    return named.join(F.broadcast(bitmap), "__block", "left").withColumn(out, found).drop("__block", "__bits", "__slot")
+    slot = F.pmod(F.xxhash64(key), F.lit(_BITMAP))
+    word, bit = F.shiftright(slot, 6), slot.bitwiseAND(F.lit(63)).cast("int")
+    one = F.call_function("shiftleft", F.lit(1).cast("long"), bit)
+    bitmap = keys.select(word.alias("__word"), one.alias("b")).groupBy("__word").agg(F.bit_or("b").alias("__bits"))
+    named = rows.withColumn("__word", word).withColumn("__bit", bit)
+    return named.join(F.broadcast(bitmap), "__word", "left").withColumn(out, F.coalesce(F.getbit("__bits", F.col("__bit")) == 1, F.lit(False))).drop("__word", "__bit", "__bits")

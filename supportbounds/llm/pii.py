@@ -181,7 +181,8 @@ def _holders(docs: DataFrame, met: DataFrame, text: str, prior: float, generalis
     least = _terms_of(share, text).join(terms.select("h"), "h", "left_semi").groupBy("h").agg(F.count_distinct("d1").alias("least"))
     rare = terms.join(least, "h", "left").where(F.col("most") >= generalise_at * (F.coalesce("least", F.lit(0)) + prior))
     rare = keep(rare.select("h", "term"), "pii-rare-terms")
-    return keep(_terms_of(docs, text).join(rare, "h").select("d1", "d2", "term").distinct(), "term-holders")
+    hinted = with_hint(_terms_of(docs, text), rare, "h", "hinted").where("hinted")
+    return keep(hinted.join(rare, "h").select("d1", "d2", "term").distinct(), "term-holders")
 
 
 def _occurrences(docs: DataFrame, own: DataFrame, text: str) -> DataFrame:
