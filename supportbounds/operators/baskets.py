@@ -91,6 +91,22 @@ class Database:
         return self.baskets.select(bits.alias("mask"), "weight")
 
 
+def numbered(df: DataFrame, name: str) -> DataFrame:
+    """``df`` with a number for each row, given before arrays are exploded (beside a generator each of its rows would get its own)."""
+    return df.withColumn(name, F.monotonically_increasing_id())
+
+
+def reduced(db: Database, items: DataFrame, least: int) -> Database:
+    """``db`` with baskets cut down to the given items (item_id) and merged anew; those with fewer than ``least`` of them go.
+
+    Supports of itemsets of ``least`` or more of these items stay what they are, and so does the number of baskets.
+    """
+    rows = numbered(db.baskets.where(F.size("items") >= least), "b").select("b", "weight", F.explode("items").alias("item_id"))
+    cut = rows.join(small(items.select("item_id")), "item_id", "left_semi").groupBy("b", "weight").agg(F.array_sort(F.collect_list("item_id")).alias("items"))
+    merged = cut.where(F.size("items") >= least).groupBy("items").agg(F.sum("weight").alias("weight"))
+    return Database(keep(merged, "reduced-baskets"), db.items, db.n_baskets, db.n_items)
+
+
 def item_supports(baskets: DataFrame) -> DataFrame:
     """(item, support) over all baskets; an item counts once in a basket, nulls don't count."""
     items = F.array_distinct(F.array_compact("items"))
@@ -116,7 +132,7 @@ def encode(baskets: DataFrame, min_support: int = 1, top: int | None = None, onl
         found = F.array_compact(F.array(*[F.when(F.array_contains("items", n), F.lit(i)) for i, n in enumerate(names)])) if names else F.array().cast("array<int>")
         encoded = baskets.select(found.alias("items"))
     else:
-        rows = baskets.select(F.monotonically_increasing_id().alias("row"), F.explode_outer(F.array_distinct(F.array_compact("items"))).alias("item"))
+        rows = numbered(baskets, "row").select("row", F.explode_outer(F.array_distinct(F.array_compact("items"))).alias("item"))
         ids = rows.join(small(items.select("item", "item_id")), "item", "left")
         encoded = ids.groupBy("row").agg(F.array_sort(F.collect_list("item_id")).alias("items"))  # nulls are not collected
     merged = keep(encoded.groupBy("items").agg(F.count("*").alias("weight")), "baskets")

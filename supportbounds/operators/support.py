@@ -5,10 +5,10 @@ Strategies (all exact, equal results):
 * ``mask``        baskets and itemsets as bits of one integer, broadcast itemsets; up to 62 items
 * ``expand``      the k-subsets of each basket, counted map-side, then looked up; short baskets
 * ``trie``        a prefix tree of broadcast itemsets walked by each basket, counts kept per task
-* ``bitmap``      bitmaps of baskets for each (item, block), ANDed; few items, many baskets
+* ``bitmap``      bitmaps of baskets for each (item, block), ANDed with one for each bit of the weights; few items, many baskets
 * ``pattern``     distinct projected baskets with weights, containment test against broadcast itemsets
 * ``scan``        containment test of every basket and itemset; the reference
-* ``partitioned`` itemsets and baskets meet on the itemset's rarest item; no broadcast, any number of itemsets
+* ``partitioned`` itemsets and baskets meet on the itemset's rarest item and a salt; no broadcast, any number of itemsets
 """
 
 from __future__ import annotations
@@ -21,12 +21,16 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from supportbounds.operators.baskets import MASK_ITEMS, Database
+from supportbounds.operators.baskets import MASK_ITEMS, Database, numbered
 from supportbounds.operators.itemsets import contains_all, k_subsets
-from supportbounds.plans.workspace import keep
+from supportbounds.plans.workspace import keep, small
 
 #: Itemsets up to this number are broadcast (about 64 bytes each); beyond it they are joined.
 BROADCAST_SETS = 500_000
+#: Tests of a basket against an itemset that ``mask`` may take; beyond, baskets look their own subsets up.
+MASK_TESTS = 2_000_000_000
+#: Parts that the baskets of one item are split into.
+SALTS = 8
 STRATEGIES = ("mask", "expand", "trie", "bitmap", "pattern", "scan", "partitioned")
 
 
@@ -49,9 +53,10 @@ def choose(db: Database, n_sets: int, k: int) -> str:
     """The strategy for ``n_sets`` itemsets of size ``k``: by what is broadcast and by the work per basket."""
     if n_sets > BROADCAST_SETS:
         return "partitioned"
-    if db.n_items <= MASK_ITEMS:
+    longest, rows = db.baskets.agg(F.max(F.size("items")), F.count("*")).first()
+    longest = longest or 0
+    if db.n_items <= MASK_ITEMS and n_sets * rows <= MASK_TESTS:
         return "mask"
-    longest = db.baskets.agg(F.max(F.size("items"))).first()[0] or 0
     return "expand" if comb(longest, k) <= 5000 else "trie"
 
 
@@ -73,7 +78,8 @@ def _mask(db: Database, sets: DataFrame, k: int) -> DataFrame:
 def _expand(db: Database, sets: DataFrame, k: int) -> DataFrame:
     long_enough = db.baskets.where(F.size("items") >= k)
     subsets = long_enough.select(F.explode(k_subsets(F.col("items"), k)).alias("items"), "weight")
-    return subsets.groupBy("items").agg(F.sum("weight").alias("support")).join(sets, "items", "left_semi")
+    # what nobody asked for goes before anything is moved
+    return subsets.join(small(sets), "items", "left_semi").groupBy("items").agg(F.sum("weight").alias("support"))
 
 
 def _trie(db: Database, sets: DataFrame, k: int) -> DataFrame:
@@ -115,21 +121,24 @@ def _trie(db: Database, sets: DataFrame, k: int) -> DataFrame:
 
 
 def vertical(db: Database) -> tuple[DataFrame, DataFrame]:
-    """Bitmaps of basket numbers per (item, block), and the weights of the baskets' numbers.
-
-    Weighted baskets are written out as many times as they weigh, so that a bit is a basket.
-    """
-    single = db.baskets.select("items", F.explode(F.expr("sequence(1L, weight)")).alias("copy")).select("items", F.monotonically_increasing_id().alias("b"))
-    single = keep(single, "numbered")
-    bits = single.select(F.explode("items").alias("item"), "b").groupBy("item", F.bitmap_bucket_number("b").alias("block")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("b")).alias("bits"))
-    return bits, single
+    """(item, block, bits): bitmaps of the merged baskets' numbers; (block, power, bits): the baskets whose weight has that power of two."""
+    single = keep(db.baskets.select("items", "weight", F.monotonically_increasing_id().alias("b")), "numbered")
+    place = F.bitmap_construct_agg(F.bitmap_bit_position("b")).alias("bits")
+    block = F.bitmap_bucket_number("b").alias("block")
+    bits = single.select(F.explode("items").alias("item"), "b").groupBy("item", block).agg(place)
+    powers = F.filter(F.sequence(F.lit(0), F.lit(62)), lambda p: F.getbit("weight", p) == 1)
+    planes = single.select(F.explode(powers).alias("power"), "b").groupBy(block, "power").agg(place)
+    return bits, planes
 
 
 def _bitmap(db: Database, sets: DataFrame, k: int) -> DataFrame:
-    bits, _ = vertical(db)
+    bits, planes = vertical(db)
     parts = sets.select("items", F.explode("items").alias("item")).join(bits, "item")
     both = parts.groupBy("items", "block").agg(F.bitmap_and_agg("bits").alias("bits"), F.count("*").alias("n")).where(F.col("n") == k)
-    return both.groupBy("items").agg(F.sum(F.bitmap_count("bits")).alias("support"))
+    weighed = both.select("items", "block", "bits").join(planes.withColumnRenamed("bits", "plane"), "block")
+    pairs = weighed.select("items", "block", "power", F.explode(F.array("bits", "plane")).alias("bits"))
+    ones = pairs.groupBy("items", "block", "power").agg(F.bitmap_count(F.bitmap_and_agg("bits")).alias("n"))
+    return ones.groupBy("items").agg(F.sum(F.call_function("shiftleft", F.col("n"), F.col("power"))).alias("support"))
 
 
 def _pattern(db: Database, sets: DataFrame, k: int) -> DataFrame:
@@ -145,6 +154,20 @@ def _scan(db: Database, sets: DataFrame, k: int) -> DataFrame:
 
 def _partitioned(db: Database, sets: DataFrame, k: int) -> DataFrame:
     # ids go from frequent to rare, so the last item is the rarest: the fewest baskets meet there
-    keyed = sets.select(F.element_at("items", -1).alias("rarest"), "items")
-    rows = db.baskets.where(F.size("items") >= k).select(F.explode("items").alias("rarest"), F.col("items").alias("b"), "weight")
-    return rows.join(keyed, "rarest").where(contains_all(F.col("b"), F.col("items"))).groupBy("items").agg(F.sum("weight").alias("support"))
+    keyed = sets.select(F.element_at("items", -1).alias("rarest"), F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt"), "items")
+    rarest = sets.select(F.element_at("items", -1).alias("rarest")).distinct()
+    salt = F.pmod(F.xxhash64("items"), F.lit(SALTS)).cast("int").alias("salt")
+    rows = db.baskets.where(F.size("items") >= k).select(F.explode(F.slice("items", k, F.size("items"))).alias("rarest"), salt, F.col("items").alias("b"), "weight")
+    rows = rows.join(small(rarest), "rarest", "left_semi")
+    return rows.join(keyed, ["rarest", "salt"]).where(contains_all(F.col("b"), F.col("items"))).groupBy("items").agg(F.sum("weight").alias("support"))
+
+
+def pairs(db: Database, items: DataFrame) -> DataFrame:
+    """(items, support) of every pair of the given items (item_id) that some basket holds, counted from the baskets: no candidates are made."""
+    wanted = small(items.select(F.col("item_id").alias("i")))
+    rows = numbered(db.baskets.where(F.size("items") > 1), "b").select("b", "weight", F.explode("items").alias("i")).join(wanted, "i", "left_semi")
+    cut = rows.groupBy("b", "weight").agg(F.array_sort(F.collect_list("i")).alias("items")).where(F.size("items") > 1)
+    # one first item of a pair at a time, so that a long basket is no long array
+    firsts = cut.select("items", "weight", F.posexplode("items").alias("at", "a"))
+    found = firsts.select("a", F.explode(F.slice("items", F.col("at") + 2, F.size("items"))).alias("b"), "weight")
+    return found.groupBy("a", "b").agg(F.sum("weight").alias("support")).select(F.array("a", "b").alias("items"), "support")

@@ -14,10 +14,13 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from supportbounds.operators import rules, support
-from supportbounds.operators.baskets import Database
+from supportbounds.operators.baskets import Database, reduced
 from supportbounds.operators.itemsets import empty, generate, immediate_subsets
 from supportbounds.plans.workspace import keep
 
+#: Up to so many extendable items their pairs are listed as candidates; beyond, pairs are counted from the baskets.
+LISTED_PAIRS = 3_000
+
 SET_SCHEMA = "items array<int>, k int, support long, lower long, upper long, lower_base array<int>, upper_base array<int>, extendable boolean"
 CANDIDATE_SCHEMA = "items array<int>, k int, lower long, upper long"
 
@@ -75,12 +78,14 @@ def max_level(n_baskets: int, min_support: int, max_depth: int | None) -> int:
 
 def mine(
     db: Database, min_support: int, max_depth: int | None = None, equality_prune: bool = True, prune_upper: bool = False, max_size: int | None = None,
-    counting: str = "auto", kernel: str = "lattice", bounding: bool = True,
+    counting: str = "auto", kernel: str = "auto", bounding: bool = True, listed_pairs: int = LISTED_PAIRS,
 ) -> Run:
     """The frequent itemsets whose support rules up to ``max_depth`` cannot deduce (all depths by default).
 
     ``equality_prune``: sets whose support equals a bound are kept, not extended. ``prune_upper``: candidates that
     cannot be frequent are not counted. ``bounding=False`` leaves the rules out: all frequent itemsets, by monotonicity alone.
+    With more than ``listed_pairs`` extendable items, pairs are counted from the baskets; those that no basket holds are in the numbers of the level, not in the table
+    of candidates. Before each level, baskets are cut down to the items that can still be extended where that leaves out a good part of them.
     """
     spark = db.baskets.sparkSession
     n = db.n_baskets
@@ -91,7 +96,7 @@ def mine(
     kept: list[DataFrame] = []
     tried: list[DataFrame] = [singles.select("items", "k", "lower", "upper")]
     level = Level(1, generated=db.n_items, counted=db.n_items)
-    counted, k = singles, 1
+    counted, k, small_db, n_items = singles, 1, db, db.n_items
     limit = max_size or (max_level(n, min_support, max_depth) if bounding and equality_prune else db.n_items)
     while True:
         off_bounds = (F.col("support") != F.col("lower")) & (F.col("support") != F.col("upper")) if bounding and equality_prune else F.lit(True)
@@ -102,7 +107,16 @@ def mine(
         run.levels.append(level)
         if sizes[1] < 2 or k >= limit:
             break
-        gen = generate(sets.where("extendable").select("items"), k)
+        used = keep(sets.where("extendable").select(F.explode("items").alias("item_id")).distinct(), "used-items")
+        n_used = used.count()
+        if n_used < 0.8 * n_items:
+            small_db, n_items = reduced(small_db, used, k + 1), n_used
+        from_baskets = k == 1 and sizes[1] > listed_pairs
+        if from_baskets:
+            paired = keep(support.pairs(small_db, used), "pairs")
+            gen = paired.select("items")
+        else:
+            gen = generate(sets.where("extendable").select("items"), k)
         k += 1
         if bounding:
             below = _union(kept[-max_depth:] if max_depth else kept).select("items", "support")
@@ -116,13 +130,14 @@ def mine(
         tight = F.col("lower") == F.col("upper")
         hopeless = ~tight & (F.col("upper") < min_support) if prune_upper else F.lit(False)
         total, derivable, out = bounded.agg(F.count("*"), F.count_if(tight), F.count_if(hopeless)).first()
-        level = Level(k, total, derivable, out, total - derivable - out)
+        unseen = comb(sizes[1], 2) - total if from_baskets else 0  # pairs of no basket: support 0, which no rule can tell
+        level = Level(k, total + unseen, derivable, out, total + unseen - derivable - out)
         if not level.counted:
             if total:
                 run.levels.append(level)
             break
         open_ones = bounded.where(~tight & ~hopeless)
-        found = support.count(db, open_ones, k, counting, level.counted)
+        found = paired if from_baskets else support.count(small_db, open_ones, k, counting, level.counted)
         counted = open_ones.join(found, "items").select("items", "k", "support", "lower", "upper", "lower_base", "upper_base")
     run.sets = _union(kept) if kept else spark.createDataFrame([], SET_SCHEMA)
     run.candidates = _union(tried)
@@ -152,9 +167,17 @@ def mine_all_fpgrowth(db: Database, min_support: int) -> DataFrame:
     """
     from pyspark.ml.fpm import FPGrowth
 
-    rows = db.baskets.select("items", F.explode(F.expr("sequence(1L, weight)")).alias("copy")).select("items")
-    share = max(0.0, (min_support - 0.5) / db.n_baskets) if db.n_baskets else 1.0
-    model = FPGrowth(itemsCol="items", minSupport=min(1.0, share)).fit(rows)
+    held = db.baskets.where(F.size("items") > 0)
+    # written out in blocks: a weight of any size is no long array
+    blocks = held.select("items", "weight", F.explode(F.sequence(F.lit(0).cast("long"), F.expr("(weight - 1) div 4096"))).alias("block"))
+    rows = blocks.select("items", F.explode(F.sequence(F.lit(1).cast("long"), F.least(F.lit(4096).cast("long"), F.expr("weight - 4096 * block")))).alias("copy")).select("items")
+    n = held.agg(F.coalesce(F.sum("weight"), F.lit(0))).first()[0]
+    if not n:
+        return db.baskets.sparkSession.createDataFrame([], "items array<int>, support long")
+    share = max(0.0, (min_support - 0.5) / n)
+    if share >= 1:
+        share = 1.0
+    model = FPGrowth(itemsCol="items", minSupport=share).fit(rows)
     return model.freqItemsets.where(F.col("freq") >= min_support).select(F.array_sort("items").alias("items"), F.col("freq").alias("support"))
 
 
