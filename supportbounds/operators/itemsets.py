@@ -26,6 +26,18 @@ def contains_all(big: Column, part: Column) -> Column:
     return F.size(F.array_except(part, big)) == 0
 
 
+def contains_any(big: Column, part: Column) -> Column:
+    return F.arrays_overlap(big, part)
+
+
+def contains_none(big: Column, part: Column) -> Column:
+    return ~F.arrays_overlap(big, part)
+
+
+def same_items(one: Column, other: Column) -> Column:
+    return F.array_sort(F.array_distinct(one)) == F.array_sort(F.array_distinct(other))
+
+
 def k_subsets(items: Column, k: int) -> Column:
     """All sorted subsets of size ``k`` of a sorted array."""
     if k == 0:

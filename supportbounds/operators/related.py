@@ -51,9 +51,9 @@ def supports_from_closed(closed: DataFrame, wanted: DataFrame) -> DataFrame:
     return left.join(right, "i").where(F.size(F.array_except("items", "over")) == 0).groupBy("items").agg(F.max("support").alias("support"))
 
 
-def border(members: DataFrame, longest: int) -> DataFrame:
-    """The minimal itemsets outside ``members`` (a family closed under subsets): what a free-set summary needs beside its sets."""
-    parts = []
+def border(members: DataFrame, longest: int, singles: DataFrame) -> DataFrame:
+    """The minimal itemsets outside ``members`` (a family closed under subsets) over the items of ``singles``: what a free-set summary needs beside its sets."""
+    parts = [singles.select("items").join(members.select("items"), "items", "left_anti")]
     for k in range(1, longest + 1):
         gen = generate(members.where(F.size("items") == k).select("items"), k)
         parts.append(gen.join(members.select("items"), "items", "left_anti"))

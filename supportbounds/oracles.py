@@ -47,6 +47,13 @@ VIEW_SQL["line_attr"] = (
     FROM (SELECT row_number() OVER () AS b, * FROM lineitem) JOIN part ON l_partkey = p_partkey""",
     "SELECT row_number() OVER () AS b FROM lineitem",
 )
+VIEW_SQL["session"] = (
+    """SELECT DISTINCT user_id || '@' || s AS b, item FROM (SELECT user_id, item, sum(new) OVER (PARTITION BY user_id ORDER BY ts RANGE UNBOUNDED PRECEDING) AS s
+    FROM (SELECT *, CASE WHEN epoch_us(ts) - lag(epoch_us(ts)) OVER (PARTITION BY user_id ORDER BY ts) < 21600000000 THEN 0 ELSE 1 END AS new
+    FROM (SELECT user_id, ts, unnest([event_type, 'k' || (CAST(regexp_extract(props, '"k": *([0-9]+)', 1) AS INT) // 10)]) AS item FROM events)))""",
+    """SELECT DISTINCT user_id || '@' || s AS b FROM (SELECT user_id, sum(new) OVER (PARTITION BY user_id ORDER BY ts RANGE UNBOUNDED PRECEDING) AS s
+    FROM (SELECT *, CASE WHEN epoch_us(ts) - lag(epoch_us(ts)) OVER (PARTITION BY user_id ORDER BY ts) < 21600000000 THEN 0 ELSE 1 END AS new FROM events))""",
+)
 WORKED = "SELECT b, unnest(string_split(s, ' ')) AS item FROM (VALUES (0,'A B C'),(1,'A C D'),(2,'A B D'),(3,'C D'),(4,'B C D'),(5,'A D'),(6,'B D'),(7,'B C D'),(8,'B C D'),(9,'A B C D')) x(b, s)"
 VIEW_SQL["worked"] = (WORKED, "SELECT range AS b FROM range(10)")
 
@@ -173,12 +180,39 @@ def all_oracles() -> dict[str, str]:
         out[f"interval_bounds_{which}"] = words8 + rules(3) + rows("bnd", "l AS lower, u AS upper")
     for which, d in {"depth1": 1, "depth2": 2, "all": 8}.items():
         out[f"sigma_rules_{which}"] = words8 + rules() + f"\nSELECT {name('j')} AS items, {name('i')} AS base, CAST(d AS INT) AS depth, sigma FROM sig WHERE d <= {d}"
+    out["border_of_free_sets"] = freq300 + rows("sup", "0 AS unused", "WHERE k > 0 AND x NOT IN (SELECT x FROM free) AND x NOT IN (SELECT a.x FROM sup a JOIN sup y ON (y.x & a.x) = y.x AND y.x <> a.x AND y.k > 0 WHERE y.x NOT IN (SELECT x FROM free))").replace(", 0 AS unused", "")
+    out["inclusion_exclusion"] = out["fractions_3"]
+    nothing = "SELECT '' AS items, CAST(0 AS BIGINT) AS support WHERE false"
+    out["derived_equals_counted"] = out["projection_invariance"] = nothing
+    out["both_bases_exact"] = "SELECT '' AS items, '' AS base WHERE false"
+    out["constrained_sets"] = mined300 + rows("kept", "s AS support", "WHERE (x & 1) = 1 AND (x & 2) = 0 AND k BETWEEN 2 AND 3 AND s BETWEEN 300 AND 400 AND u - l <= 200")
+    out["containment_predicates"] = words10 + "\nSELECT CAST(coalesce(sum(w) FILTER ((m & 7) = 7), 0) AS BIGINT) AS holds_all, CAST(coalesce(sum(w) FILTER ((m & 7) <> 0), 0) AS BIGINT) AS holds_any, CAST(coalesce(sum(w) FILTER ((m & 7) = 0), 0) AS BIGINT) AS holds_none, CAST(coalesce(sum(w) FILTER (m = 7), 0) AS BIGINT) AS is_equal FROM pat"
+    for view, share in WHOLE_VIEWS.items():
+        out[f"frequent3_{view}"] = frequent3(view, share)
     for view in MINED_VIEWS:
         share = f"ceil(n * {VIEW_SHARES.get(view, 0.01)} - 1e-9)"
         out[f"nonderivable_{view}"] = base(view, 10) + rules() + mined(share) + rows("kept", KEPT)
     return out
 
 
+#: Views mined whole, with all their frequent items, and the share of baskets that is frequent.
+WHOLE_VIEWS = {"order_part": 0.0002, "order_brand": 0.01, "userday": 0.01, "session": 0.01, "order_attr": 0.01, "line_attr": 0.01, "doc_word": 0.42, "doc_label": 0.02, "supplier_nation": 0.02}
+
+
+def frequent3(view: str, share: float) -> str:
+    """All frequent itemsets of one to three items, over all items, by self-joins."""
+    pairs, ids = VIEW_SQL[view]
+    sizes = []
+    for k in (1, 2, 3):
+        joins = " ".join(f"JOIN e e{i} ON e{i}.b = e{i - 1}.b AND e{i}.id > e{i - 1}.id" for i in range(1, k))
+        items = " || ' ' || ".join(f"e{i}.item" for i in range(k))
+        sizes.append(f"SELECT {items} AS items, count(*) AS support FROM e e0 {joins} GROUP BY {', '.join(f'e{i}.item' for i in range(k))} HAVING count(*) >= (SELECT s FROM lim)")
+    return f"""WITH v AS MATERIALIZED ({pairs}), u AS ({ids}), lim AS MATERIALIZED (SELECT greatest(1, ceil(count(*) * {share} - 1e-9)) AS s FROM u),
+t AS MATERIALIZED (SELECT item, row_number() OVER (ORDER BY count(*) DESC, item) AS id FROM v WHERE item <> '' GROUP BY item HAVING count(*) >= (SELECT s FROM lim)),
+e AS MATERIALIZED (SELECT b, id, item FROM v JOIN t USING (item))
+""" + "\nUNION ALL ".join(sizes)
+
+
 #: Views mined at one per cent of their baskets, top ten items.
 MINED_VIEWS = ("order_attr", "order_brand", "order_part", "userday", "doc_line", "conv_word", "page_tag", "doc_label", "vec_sign", "doc_bench", "supplier_nation", "line_attr")
 #: Other shares: single parts are rare.

@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from supportbounds.operators.baskets import Database
+from supportbounds.operators.itemsets import contains_all, contains_none
 from supportbounds.plans.levelwise import SET_SCHEMA, Run, mine
 
 
@@ -32,6 +33,19 @@ def load(spark: SparkSession, path: str) -> Run:
     return Run(db, facts.min_support, facts.max_depth, sets, sets.select("items", "k", "lower", "upper"))
 
 
+def select(
+    sets: DataFrame, must: list[int] = (), without: list[int] = (), min_size: int = 1, max_size: int | None = None, min_support: int = 1, max_support: int | None = None, max_width: int | None = None
+) -> DataFrame:
+    """The sets that hold all of ``must`` and none of ``without``, within the given sizes, supports and interval widths."""
+    ids = lambda xs: F.array(*map(F.lit, xs)) if xs else F.array().cast("array<int>")
+    out = sets.where((F.size("items") >= min_size) & (F.col("support") >= min_support))
+    out = out.where(contains_all(F.col("items"), ids(must)) & contains_none(F.col("items"), ids(without)))
+    for column, most in ((F.size("items"), max_size), (F.col("support"), max_support), (F.col("upper") - F.col("lower") if max_width is not None else None, max_width)):
+        if most is not None:
+            out = out.where(column <= most)
+    return out
+
+
 def refresh(run: Run, added: Database) -> Run:
     """The representation of the old baskets and new ones with the same dictionary.
 

@@ -10,8 +10,8 @@ from pyspark.sql import functions as F
 from supportbounds import oracles, workloads
 from supportbounds.operators import baskets, fractions, related, rules, support
 from supportbounds.operators.baskets import Database
-from supportbounds.operators.itemsets import k_subsets
-from supportbounds.plans import derive, measures, represent
+from supportbounds.operators.itemsets import contains_all, contains_any, contains_none, k_subsets, same_items
+from supportbounds.plans import checks, derive, measures, represent
 from supportbounds.plans.levelwise import (
     Run,
     _union,
@@ -287,12 +287,91 @@ def monotone_vs_full_upper(spark: SparkSession, d: str) -> DataFrame:
     return found.groupBy("k").agg(at(1).alias("mean_depth1_upper"), at(8).alias("mean_full_upper"))
 
 
+def whole_view(spark: SparkSession, d: str, name: str, share: float) -> tuple[Database, int]:
+    """A view with all its frequent items (the others are in no frequent set), and the threshold as a number of baskets."""
+    rows = keep(workloads.VIEWS[name](spark, d), f"view-{name}")
+    least = baskets.resolve_support(share, rows.count())
+    return baskets.encode(rows, least), least
+
+
+def _frequent3(name: str, share: float) -> Query:
+    def query(spark: SparkSession, d: str) -> DataFrame:
+        db, least = whole_view(spark, d, name, share)
+        return _named(db, derive.all_frequent(mine_nonderivable(db, least), max_size=3).sets.where("k <= 3"), "support")
+
+    return query
+
+
+def _exp_width_by_size(name: str, share: float) -> Query:
+    """Mean interval width of the candidates of each size, over all frequent items of a view."""
+
+    def query(spark: SparkSession, d: str) -> DataFrame:
+        db, least = whole_view(spark, d, name, share)
+        return measures.width_by_size(mine_nonderivable(db, least)).withColumn("mean_width", F.round("mean_width", 6))
+
+    return query
+
+
+def _exp_size_by_threshold(name: str, shares: tuple[float, ...]) -> Query:
+    """Sizes of the summary and of all frequent itemsets at falling thresholds, over all items frequent at the lowest one."""
+
+    def query(spark: SparkSession, d: str) -> DataFrame:
+        db, _ = whole_view(spark, d, name, min(shares))
+        counts = {s: baskets.resolve_support(s, db.n_baskets) for s in shares}
+        found = measures.size_by_threshold(db, sorted({c for c in counts.values() if c > 1}))
+        named = spark.createDataFrame([(s, c) for s, c in counts.items()], "share double, threshold long")
+        return named.join(found, "threshold").select("share", "threshold", "all_cnt", "kept_cnt")
+
+    return query
+
+
+def derived_equals_counted(spark: SparkSession, d: str) -> DataFrame:
+    run = _words_run(spark, d)
+    return _named(run.db, checks.derived_not_counted(run.db, derive.all_frequent(run).sets), "support")
+
+
+def projection_invariance(spark: SparkSession, d: str) -> DataFrame:
+    db = view(spark, d, "order_brand", None)
+    return _named(db, checks.projection_differs(db, [0, 2, 3, 7]), "support")
+
+
+def inclusion_exclusion(spark: SparkSession, d: str) -> DataFrame:
+    db = view(spark, d, "order_attr", None)
+    counted = _union([support.count(db, spark.range(1).select(F.explode(k_subsets(F.array(F.lit(0), F.lit(1), F.lit(2)), k)).alias("items")), k) for k in (1, 2, 3)])
+    return db.named(checks.inclusion_exclusion(keep(with_empty_set(counted, db.n_baskets), "counted"), [0, 1, 2]), "base")
+
+
+def both_bases_exact(spark: SparkSession, d: str) -> DataFrame:
+    db, supports = _lattice(spark, d, 8)
+    known = with_empty_set(supports, db.n_baskets)
+    found = _union([rules.bounds(supports.where(F.size("items") == n).select("items"), known, n) for n in range(1, 9)])
+    return db.named(db.named(checks.inherited_not_exact(keep(found, "bounded"), known)), "base")
+
+
+def border_of_free_sets(spark: SparkSession, d: str) -> DataFrame:
+    db, frequent = _frequent_words(spark, d)
+    free = keep(related.free_sets(frequent, db.n_baskets), "free")
+    return db.named(related.border(free, db.n_items, db.items.select(F.array("item_id").alias("items"))).select("items"))
+
+
+def constrained_sets(spark: SparkSession, d: str) -> DataFrame:
+    run = _words_run(spark, d)
+    return _named(run.db, represent.select(run.sets, must=[0], without=[1], min_size=2, max_size=3, min_support=300, max_support=400, max_width=200), "support")
+
+
+def containment_predicates(spark: SparkSession, d: str) -> DataFrame:
+    three = F.array(F.lit(0), F.lit(1), F.lit(2))
+    tests = {"holds_all": contains_all, "holds_any": contains_any, "holds_none": contains_none, "is_equal": same_items}
+    return words(spark, d).baskets.agg(*[F.coalesce(F.sum(F.when(t(F.col("items"), three), F.col("weight"))), F.lit(0)).alias(n) for n, t in tests.items()])
+
+
 QUERIES: dict[str, Query] = {
     f.__name__: f
     for f in (
         worked_example_rules, worked_example_bounds, item_supports, pattern_weights, basket_projection, fractions_3, support_from_fractions, cover_identity, derivable_flags, nonderivable_order_fd,
         derive_derivable, all_frequent_levelwise, all_frequent_fpgrowth, lookup_support, free_sets, closed_sets, maximal_sets, counting_inference, lookahead_maximal, witness_recount, width_by_size, funnel,
-        rule_work, derivation_work, scans_by_method, representation_sizes, size_by_threshold, size_by_depth, gain_by_depth, monotone_vs_full_upper,
+        rule_work, derivation_work, scans_by_method, representation_sizes, size_by_threshold, size_by_depth, gain_by_depth, monotone_vs_full_upper, derived_equals_counted, projection_invariance, inclusion_exclusion, both_bases_exact, border_of_free_sets,
+        constrained_sets, containment_predicates,
     )
 }
 QUERIES |= {
@@ -311,6 +390,10 @@ QUERIES |= {
     "nonderivable_no_equality": _nonderivable_words(max_depth=1, equality_prune=False),
     "nonderivable_prune_upper": _nonderivable_words(s=400, prune_upper=True),
     **{f"nonderivable_{name}": _nonderivable_view(name) for name in oracles.MINED_VIEWS},
+    **{f"frequent3_{name}": _frequent3(name, share) for name, share in oracles.WHOLE_VIEWS.items()},
+    **{f"exp_width_by_size_{name}": _exp_width_by_size(name, oracles.WHOLE_VIEWS[name]) for name in ("order_part", "order_brand", "userday", "order_attr", "doc_word")},
+    **{f"exp_size_by_threshold_{name}": _exp_size_by_threshold(name, (0.1, 0.05, 0.02, 0.01, 0.005, 0.002, 0.001)) for name in ("order_part", "order_brand", "userday", "order_attr")},
+    "exp_size_by_threshold_doc_word": _exp_size_by_threshold("doc_word", (0.6, 0.5, 0.45, 0.42)),
     "all_frequent_from_representation": _all_from_representation(),
     "all_frequent_without_inheritance": _all_from_representation(inherit=False),
     "all_frequent_from_depth1": _all_from_representation(max_depth=1),

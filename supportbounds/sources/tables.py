@@ -37,3 +37,8 @@ def read_transactions(spark: SparkSession, path: str, separator: str = r"\s+") -
 def write_transactions(baskets: DataFrame, path: str) -> None:
     """The inverse of :func:`read_transactions` (basket ids are not kept)."""
     baskets.select(F.array_join("items", " ").alias("value")).write.text(path)
+
+
+def write_bucketed(df: DataFrame, name: str, key: str, buckets: int = 64, mode: str = "errorifexists") -> None:
+    """A catalog table in buckets by ``key``: later joins and groups by that key read it without a shuffle."""
+    df.write.mode(mode).bucketBy(buckets, key).sortBy(key).saveAsTable(name)
