@@ -145,11 +145,95 @@ def sql_bounds(spark: SparkSession, d: str) -> DataFrame:
     return spark.sql("SELECT base_mask, depth, count(*) AS terms, CAST(sum(sign) AS BIGINT) AS signs FROM deduction_rules(4, 4) GROUP BY base_mask, depth")
 
 
+def salted_join(spark: SparkSession, d: str) -> DataFrame:
+    """Lines with the brand of their part, each part's lines spread over several tasks."""
+    lines = table(spark, d, "lineitem").select(F.col("l_partkey").alias("k"), "l_orderkey", "l_quantity")
+    brands = table(spark, d, "part").select(F.col("p_partkey").alias("k"), "p_brand")
+    return joins.salted(lines, brands, ["k"]).groupBy("p_brand").agg(F.count("*").alias("n"), F.sum("l_quantity").alias("quantity"))
+
+
+def set_similarity_join(spark: SparkSession, d: str) -> DataFrame:
+    """Pairs of user-days whose items are alike to 75 per cent, among the days of the first users."""
+    days = workloads.userday(spark, d).where(F.split("basket_id", "@")[0].cast("int") < 10)
+    return joins.similar_sets(days.select("basket_id", F.array_sort("items").alias("items")), "basket_id", "items", 75)
+
+
+def lateral_top(spark: SparkSession, d: str) -> DataFrame:
+    """The two largest orders of each customer, by a lateral join."""
+    customers, orders = table(spark, d, "customer").select("c_custkey").alias("c"), table(spark, d, "orders")
+    own = orders.where(F.col("o_custkey") == F.col("c.c_custkey").outer()).orderBy(F.desc("o_totalprice"), "o_orderkey").limit(2).select("o_orderkey")
+    return customers.lateralJoin(own)
+
+
+def quantiles(spark: SparkSession, d: str) -> DataFrame:
+    """Exact quartiles of quantities by return flag."""
+    parts = [F.percentile("l_quantity", F.lit(q)).alias(f"q{int(100 * q)}") for q in (0.25, 0.5, 0.75)]
+    return table(spark, d, "lineitem").groupBy("l_returnflag").agg(*parts)
+
+
+def approximate_distinct(spark: SparkSession, d: str) -> DataFrame:
+    """Sketches of the customers of each order status, merged, against the exact count: off by five per cent at most."""
+    sketched = table(spark, d, "orders").groupBy("o_orderstatus").agg(F.hll_sketch_agg("o_custkey", F.lit(14)).alias("s"), F.count_distinct("o_custkey").alias("exact"))
+    near = F.abs(F.hll_sketch_estimate("s") - F.col("exact")) <= 0.05 * F.col("exact")
+    return sketched.select("o_orderstatus", "exact", near.alias("near"))
+
+
+def observed_rows(spark: SparkSession, d: str) -> DataFrame:
+    """Rows and largest total seen while another query ran, without a job of their own."""
+    from pyspark.sql import Observation
+
+    seen = Observation("orders")
+    watched = table(spark, d, "orders").observe(seen, F.count("*").alias("n"), F.max("o_totalprice").alias("largest"))
+    watched.groupBy("o_orderstatus").count().write.format("noop").mode("overwrite").save()
+    return spark.createDataFrame([(seen.get["n"], seen.get["largest"])], "n long, largest double")
+
+
+def window_share(spark: SparkSession, d: str) -> DataFrame:
+    """The share of each priority in the orders of its status."""
+    counts = table(spark, d, "orders").groupBy("o_orderstatus", "o_orderpriority").agg(F.count("*").alias("n"))
+    share = F.col("n") / F.sum("n").over(Window.partitionBy("o_orderstatus"))
+    return counts.select("o_orderstatus", "o_orderpriority", F.round(share, 9).alias("share"))
+
+
+def window_more(spark: SparkSession, d: str) -> DataFrame:
+    """Relative ranks, and values of neighbouring and third rows."""
+    w = Window.partitionBy("user_id").orderBy(F.desc("value"), "event_id")
+    whole = w.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
+    return table(spark, d, "events").select(
+        "event_id", F.round(F.percent_rank().over(w), 9).alias("pr"), F.round(F.cume_dist().over(w), 9).alias("cd"), F.lead("event_id", 1).over(w).alias("next_id"),
+        F.nth_value("event_id", 3).over(whole).alias("third_id"), F.last("event_id").over(whole).alias("last_id"),
+    )
+
+
+def bit_aggregates(spark: SparkSession, d: str) -> DataFrame:
+    key = F.col("o_custkey")
+    return table(spark, d, "orders").groupBy("o_orderstatus").agg(F.bit_and(key).alias("all_bits"), F.bit_or(key).alias("some_bits"), F.bit_xor(key).alias("odd_bits"))
+
+
+def sort_offset(spark: SparkSession, d: str) -> DataFrame:
+    """The 11th to 30th customers by balance, nulls last."""
+    ordered = table(spark, d, "customer").orderBy(F.desc_nulls_last("c_acctbal"), "c_custkey")
+    return ordered.offset(10).limit(20).select("c_custkey", "c_acctbal")
+
+
+def hash_keys(spark: SparkSession, d: str) -> DataFrame:
+    """A stable sample by the digest of a key: one row in sixteen."""
+    digest = F.md5(F.col("c_custkey").cast("string").cast("binary"))
+    return table(spark, d, "customer").where(F.substring(digest, 1, 1) == "0").select("c_custkey", digest.alias("digest"))
+
+
+def time_window_baskets(spark: SparkSession, d: str) -> DataFrame:
+    """Kinds of events of each user in windows of six hours."""
+    hours = F.floor(F.unix_micros(F.col("ts").cast("timestamp")) / 21_600_000_000)
+    return table(spark, d, "events").groupBy("user_id", hours.alias("slot")).agg(F.array_join(F.array_sort(F.collect_set("event_type")), " ").alias("items"))
+
+
 QUERIES: dict[str, Query] = {
     f.__name__: f
     for f in (
         basket_lines_per_order, attr_items, word_items, json_items, session_baskets, semi_join, anti_join, range_join, asof_events, cube_flags, rollup_dates, grouping_sets, window_rank, window_running,
-        window_range, topk_per_size, set_ops, sample_hash, pivot_pairs, sql_bounds,
+        window_range, topk_per_size, set_ops, sample_hash, pivot_pairs, sql_bounds, salted_join, set_similarity_join, lateral_top, quantiles, approximate_distinct, observed_rows, window_share, window_more,
+        bit_aggregates, sort_offset, hash_keys, time_window_baskets,
     )
 }
 
@@ -191,4 +275,19 @@ UNION ALL SELECT 'intersect_all', count(*) FROM (SELECT o_custkey FROM orders IN
     "sample_hash": "SELECT c_custkey, c_mktsegment FROM customer WHERE c_custkey % 7 = 0",
     "pivot_pairs": "SELECT p AS o_orderpriority, s AS status, count(o_orderkey) AS cnt FROM (SELECT DISTINCT o_orderpriority AS p FROM orders) CROSS JOIN (VALUES ('F'), ('O'), ('P')) x(s) LEFT JOIN orders ON o_orderpriority = p AND o_orderstatus = s GROUP BY ALL",
     "sql_bounds": "SELECT b AS base_mask, CAST(4 - bit_count(b) AS INT) AS depth, count(*) AS terms, CAST(sum(CASE WHEN (4 - bit_count(t)) % 2 = 1 THEN 1 ELSE -1 END) AS BIGINT) AS signs FROM (SELECT range AS b FROM range(15)) JOIN (SELECT range AS t FROM range(15)) ON (t & b) = b GROUP BY ALL",
+    "salted_join": "SELECT p_brand, count(*) AS n, sum(l_quantity) AS quantity FROM lineitem JOIN part ON l_partkey = p_partkey GROUP BY 1",
+    "set_similarity_join": """WITH i AS (SELECT DISTINCT user_id || '@' || strftime(ts, '%Y-%m-%d') AS b, unnest([event_type, 'k' || (CAST(regexp_extract(props, '"k": *([0-9]+)', 1) AS INT) // 10)]) AS item FROM events WHERE user_id < 10),
+n AS (SELECT b, count(*) AS n FROM i GROUP BY b), p AS (SELECT x.b AS a, y.b AS b, count(*) AS shared FROM i x JOIN i y ON x.item = y.item AND x.b < y.b GROUP BY ALL)
+SELECT a, p.b, CAST(shared AS INT) AS shared FROM p JOIN n x ON x.b = a JOIN n y ON y.b = p.b WHERE 100 * shared >= 75 * (x.n + y.n - shared)""",
+    "lateral_top": "SELECT o_custkey AS c_custkey, o_orderkey FROM (SELECT *, row_number() OVER (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey) AS r FROM orders JOIN customer ON c_custkey = o_custkey) WHERE r <= 2",
+    "quantiles": "SELECT l_returnflag, quantile_cont(l_quantity, 0.25) AS q25, quantile_cont(l_quantity, 0.5) AS q50, quantile_cont(l_quantity, 0.75) AS q75 FROM lineitem GROUP BY 1",
+    "approximate_distinct": "SELECT o_orderstatus, count(DISTINCT o_custkey) AS exact, true AS near FROM orders GROUP BY 1",
+    "observed_rows": "SELECT count(*) AS n, max(o_totalprice) AS largest FROM orders",
+    "window_share": "SELECT o_orderstatus, o_orderpriority, round(n / sum(n) OVER (PARTITION BY o_orderstatus), 9) AS share FROM (SELECT o_orderstatus, o_orderpriority, count(*) AS n FROM orders GROUP BY ALL)",
+    "window_more": """SELECT event_id, round(percent_rank() OVER w, 9) AS pr, round(cume_dist() OVER w, 9) AS cd, lead(event_id) OVER w AS next_id, nth_value(event_id, 3) OVER f AS third_id, last_value(event_id) OVER f AS last_id
+FROM events WINDOW w AS (PARTITION BY user_id ORDER BY value DESC, event_id), f AS (PARTITION BY user_id ORDER BY value DESC, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING)""",
+    "bit_aggregates": "SELECT o_orderstatus, bit_and(o_custkey) AS all_bits, bit_or(o_custkey) AS some_bits, bit_xor(o_custkey) AS odd_bits FROM orders GROUP BY 1",
+    "sort_offset": "SELECT c_custkey, c_acctbal FROM customer ORDER BY c_acctbal DESC NULLS LAST, c_custkey LIMIT 20 OFFSET 10",
+    "hash_keys": "SELECT c_custkey, md5(CAST(c_custkey AS VARCHAR)) AS digest FROM customer WHERE md5(CAST(c_custkey AS VARCHAR))[1] = '0'",
+    "time_window_baskets": "SELECT user_id, CAST(floor(epoch_us(ts) / 21600000000) AS BIGINT) AS slot, string_agg(DISTINCT event_type, ' ' ORDER BY event_type) AS items FROM events GROUP BY 1, 2",
 }
