@@ -179,3 +179,58 @@ def test_derivation_reads_no_baskets(spark):
     run = mine(db, 1)
     run.db.baskets = None  # any use would fail
     assert derive.all_frequent(run).sets.count() == 15
+
+
+def test_lookup_of_long_itemsets(spark):
+    names = [f"i{k:02d}" for k in range(17)]
+    rows = [names] * 10 + [names[:3]] * 4 + [names[::2]] * 6 + [names[:15]] * 2 + [["x"]] * 3
+    db = db_of(spark, rows)
+    ids = {r["item"]: r.item_id for r in db.items.collect()}
+    wanted = {tuple(sorted(ids[x] for x in w)): w for w in (names, names[:15], names[1::2], names[:2], ["x", names[0]])}
+    run = mine(db, 5, max_depth=2)
+    found = {tuple(r["items"]): (r.status, r.support) for r in derive.lookup(run, spark.createDataFrame([(list(w),) for w in wanted], "items array<int>")).collect()}
+    for w, names_of in wanted.items():
+        n = sum(set(names_of) <= set(r) for r in rows)
+        assert found[w] == (("frequent", n) if n >= 5 else ("infrequent", None))
+
+
+def test_bounds_of_long_itemsets_at_limited_depth(spark):
+    # 40 items, one basket without each item or pair of items of the first five: supports known by counting
+    n, whole = 40, list(range(40))
+    sets = spark.range(1).select(F.array(*map(F.lit, whole)).alias("items"))
+    missing = [(), (0,), (1,), (0, 1), (2,)]
+    dropped = [s for d in (1, 2) for s in itertools.combinations(whole, d)]
+    support_of = lambda s: sum(set(m) <= set(s) for m in missing)
+    known = spark.createDataFrame([([x for x in whole if x not in s], support_of(s)) for s in dropped], "items array<int>, support long")
+    low, high = rules.bounds(sets, known, n, 2).select("lower", "upper").first()
+    pairs = [support_of((a,)) + support_of((b,)) - support_of((a, b)) for a, b in itertools.combinations(whole, 2)]
+    assert (low, high) == (max(0, *pairs), min(support_of((a,)) for a in whole))
+    assert rules.explain(sets, known, n, 2).count() == 1 + 40 + 780
+
+
+def test_heavy_baskets_are_not_written_out(spark):
+    cells = spark.createDataFrame([([0, 1], 10**9), ([1], 3), ([0, 1, 2], 5), ([], 10**12)], "items array<int>, weight long")
+    items = spark.createDataFrame([(0, "a", 10**9 + 5), (1, "b", 10**9 + 8), (2, "c", 5)], "item_id int, item string, support long")
+    db = baskets.Database(cells, items, 10**12 + 10**9 + 8, 3)
+    sets = spark.createDataFrame([([0, 1],), ([1, 2],), ([0, 2],)], "items array<int>")
+    for strategy in support.STRATEGIES:
+        assert as_dict(db, support.count(db, sets, 2, strategy)) == {frozenset("ab"): 10**9 + 5, frozenset("bc"): 5, frozenset("ac"): 5}, strategy
+
+
+def test_pairs_counted_from_baskets(spark):
+    rows = random_rows(3)
+    db = db_of(spark, rows)
+    for depth in (None, 1):
+        listed, counted = mine(db, 2, max_depth=depth), mine(db, 2, max_depth=depth, listed_pairs=0)
+        assert as_dict(db, listed.sets) == as_dict(db, counted.sets)
+        assert [v.counted for v in listed.levels] == [v.counted for v in counted.levels]
+
+
+def test_more_items_than_bits(spark):
+    rnd = random.Random(4)
+    rows = [[f"n{rnd.randrange(90)}" for _ in range(4)] + ["all"] * (i % 2) for i in range(120)]
+    db = db_of(spark, rows)
+    assert db.n_items > 62 and db.n_baskets == 120
+    want = brute([[x for x in r if x == "all" or x < "n2"] for r in rows], 2)
+    found = as_dict(db, mine_all_levelwise(db, 2).sets)
+    assert {x: n for x, n in found.items() if all(y == "all" or y < "n2" for y in x)} == want
