@@ -42,18 +42,51 @@ def random_rows(seed):
     return rows
 
 
+WORKED = ["A B C", "A C D", "A B D", "C D", "B C D", "A D", "B D", "B C D", "B C D", "A B C D"]
+
+
+def given(spark, folder, rows):
+    """Tables of the given form in which the brands of orders, the items of user-days and flags of lines are these baskets."""
+    pairs = [(i, x) for i, r in enumerate(rows) for x in r.split()]
+    spark.createDataFrame([(i, "ABCD".index(x)) for i, x in pairs], "l_orderkey long, l_partkey long").write.parquet(f"{folder}/orders-of/lineitem.parquet")
+    spark.createDataFrame(list(enumerate("ABCD")), "p_partkey long, p_brand string").write.parquet(f"{folder}/orders-of/part.parquet")
+    events = spark.createDataFrame([(i, x, None) for i, x in pairs], "user_id long, event_type string, props string").withColumn("ts", F.lit("2024-01-01").cast("timestamp_ntz"))
+    events.write.parquet(f"{folder}/days-of/events.parquet")
+    flags = [(10.0 * ("A" in r), 0.05 * ("B" in r), 0.05 * ("C" in r), "N" if "D" in r else "R") for r in rows]
+    spark.createDataFrame(flags, "l_quantity double, l_discount double, l_tax double, l_returnflag string").write.parquet(f"{folder}/lines-of/lineitem.parquet")
+    return [f"{folder}/{x}" for x in ("orders-of", "days-of", "lines-of")]
+
+
 def test_worked_example_bounds(spark):
-    found = {r.max_depth: (r.lower, r.upper) for r in queries.worked_example_bounds(spark, "").collect()}
+    found = {r.max_depth: (r.lower, r.upper) for r in queries.bounds_of_four(baskets.encode(workloads.worked_example(spark))).collect()}
     assert found == {1: (0, 2), 2: (1, 2), 3: (1, 1), 4: (1, 1)}
 
 
 def test_worked_example_rules(spark):
-    found = {r.base.replace(" ", ""): (r.side, r.sigma) for r in queries.worked_example_rules(spark, "").collect()}
+    found = {"".join(sorted(r.base.split())): (r.side, r.sigma) for r in queries.rules_of_four(baskets.encode(workloads.worked_example(spark))).collect()}
     lower = {"": 1, "AB": 1, "AC": 1, "AD": 0, "BC": 1, "BD": 0, "CD": 0, "ABCD": 0}
     upper = {"A": 1, "B": 1, "C": 1, "D": 1, "ABC": 2, "ABD": 2, "ACD": 2, "BCD": 4}
     assert found == {k: ("lower", v) for k, v in lower.items()} | {k: ("upper", v) for k, v in upper.items()}
 
 
+@pytest.mark.parametrize("rows", [WORKED, [*WORKED[:-1], "A C", "A B C"]])
+def test_examples_follow_the_given_tables(spark, tmp_path, rows):
+    orders, days, lines = given(spark, tmp_path, rows)
+    held = [set(r.split()) for r in rows]
+    support = lambda x: sum(set(x) <= r for r in held)
+    sigma = {}
+    for base in ("".join(c) for k in range(4) for c in itertools.combinations("ABCD", k)):
+        rest = [x for x in "ABCD" if x not in base]
+        sigma[base] = sum((-1) ** (len(rest) - k + 1) * support(base + "".join(c)) for k in range(len(rest)) for c in itertools.combinations(rest, k))
+    found = {"".join(sorted(r.base.split())): r.sigma for r in queries.worked_example_rules(spark, orders).collect()}
+    assert found == sigma | {"ABCD": 0}
+    want = {}
+    for depth in (1, 2, 3, 4):
+        low, high = ([v for b, v in sigma.items() if 4 - len(b) <= depth and (4 - len(b)) % 2 == odd] for odd in (0, 1))
+        want[depth] = max([0, *low]), min(high)
+    assert {r.max_depth: (r.lower, r.upper) for r in queries.worked_example_bounds(spark, days).collect()} == want
+
+
 def test_worked_example_mining(spark):
     db = baskets.encode(workloads.worked_example(spark))
     run = mine(db, 1)
