@@ -6,7 +6,7 @@ import random
 import pytest
 from pyspark.sql import functions as F
 
-from supportbounds import queries, workloads
+from supportbounds import queries, relational, workloads
 from supportbounds.operators import baskets, fractions, related, rules, support
 from supportbounds.plans import checks, derive, represent
 from supportbounds.plans.levelwise import max_level, mine, mine_all_fpgrowth, mine_all_levelwise, mine_bruteforce, mine_counting_inference, mine_maximal_lookahead, with_empty_set
@@ -85,6 +85,8 @@ def test_examples_follow_the_given_tables(spark, tmp_path, rows):
         low, high = ([v for b, v in sigma.items() if 4 - len(b) <= depth and (4 - len(b)) % 2 == odd] for odd in (0, 1))
         want[depth] = max([0, *low]), min(high)
     assert {r.max_depth: (r.lower, r.upper) for r in queries.worked_example_bounds(spark, days).collect()} == want
+    by_mask = {sum(1 << "ABCD".index(x) for x in b): v for b, v in sigma.items()}
+    assert {r.base_mask: r.sigma for r in relational.sql_bounds(spark, lines).collect()} == by_mask
 
 
 def test_worked_example_mining(spark):
