@@ -27,6 +27,7 @@ import json
 import os
 import sys
 import zlib
+from array import array
 from collections.abc import Callable, Iterator
 from functools import lru_cache, reduce
 
@@ -143,8 +144,23 @@ def _encoder(path: str) -> tuple[Callable[[list[str], int], tuple[np.ndarray, np
     cut = json.loads(library.pre_tokenizer.__getstate__()) if library.pre_tokenizer else {}
     plain = library.normalizer is None and cut.get("type") == "ByteLevel" and cut.get("use_regex") and not cut.get("add_prefix_space")
     special = [t.content for t in library.get_added_tokens_decoder().values()]
-    letters, model = _byte_letters(), library.model
-    coder = TextEncoder(lambda piece: [t.id for t in model.tokenize(piece.decode("latin-1").translate(letters))], PIECES)
+    model, letters = library.model, _byte_letters()
+    tokenize = model.tokenize
+    if hasattr(model, "_resize_cache"):
+        model._resize_cache(0)  # pieces that come again are found before the model is asked
+    codes = np.array([ord(letters[b]) for b in range(256)], dtype="<u2")
+
+    def encode_all(pieces: list[bytes]) -> list[bytes]:
+        text = codes[np.frombuffer(b"".join(pieces), np.uint8)].tobytes().decode("utf-16-le")  # a letter for each byte
+        ids, ends, start = array("I"), [0], 0
+        for end in itertools.accumulate(map(len, pieces)):
+            ids.extend([t.id for t in tokenize(text[start:end])])
+            ends.append(len(ids))
+            start = end
+        raw = ids.tobytes()
+        return [raw[4 * a : 4 * b] for a, b in itertools.pairwise(ends)]
+
+    coder = TextEncoder(lambda piece: np.frombuffer(encode_all([piece])[0], np.uint32).tolist(), PIECES, encode_all)
 
     def whole(text: str) -> np.ndarray:
         return np.array(library.encode(text, add_special_tokens=False).ids, dtype=np.uint32)
