@@ -44,8 +44,8 @@ from supportbounds.llm.common import new_folder, remove_folder, text_of
 from supportbounds.llm.quality_rules import slices
 
 WINDOW, MASK_BITS, MAX_CHUNK = 12, 9, 4096  # the window is summed up as 8 + 4
-#: What a worker keeps and works on at once: encoded pieces, digests already sent, bytes of text.
-PIECES, SEEN, SLICE = 150_000, 50_000, 4_000_000
+#: What a worker keeps and works on at once: encoded pieces (some 60 bytes each, kept from task to task), digests already sent, bytes of text.
+PIECES, SEEN, SLICE = 800_000, 50_000, 4_000_000
 _RANDOM = np.random.default_rng(20_24).integers(0, 1 << 63, size=1 << 16, dtype=np.uint64)
 
 
@@ -181,7 +181,7 @@ def _encoder(path: str) -> tuple[Callable[[list[str], int], tuple[np.ndarray, np
 
 
 def _give_back(pieces: PieceCache) -> None:
-    """Empties what a worker has gathered, so that it is small while it serves other stages."""
+    """Empties what a worker has gathered of long pieces, so that it is small while it serves other stages; the table of short ones has its bound and stays."""
     pieces.old = {}
     pieces.clear()
     pa.default_memory_pool().release_unused()
