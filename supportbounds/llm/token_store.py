@@ -44,8 +44,9 @@ from supportbounds.llm.common import new_folder, remove_folder, text_of
 from supportbounds.llm.quality_rules import slices
 
 WINDOW, MASK_BITS, MAX_CHUNK = 12, 9, 4096  # the window is summed up as 8 + 4
-#: What a worker keeps and works on at once: encoded pieces (some 60 bytes each, kept from task to task), digests already sent, bytes of text.
+#: What a worker keeps and works on at once: encoded pieces (some 65 bytes each, kept from task to task), digests already sent, bytes of text.
 PIECES, SEEN, SLICE = 800_000, 50_000, 4_000_000
+_TRIM_THRESHOLD, _MMAP_THRESHOLD = -1, -3  # numbers of the C library
 _RANDOM = np.random.default_rng(20_24).integers(0, 1 << 63, size=1 << 16, dtype=np.uint64)
 
 
@@ -185,11 +186,21 @@ def _give_back(pieces: PieceCache) -> None:
     pieces.old = {}
     pieces.clear()
     pa.default_memory_pool().release_unused()
+    _keep_freed(64 << 20)  # what the C library comes to by itself
     if sys.platform == "linux":
         with contextlib.suppress(OSError, AttributeError):  # another C library: it keeps its pages
             ctypes.CDLL(None).malloc_trim(0)
 
 
+def _keep_freed(most: int) -> None:
+    """Lets the C library hold on to so many freed bytes, so that working arrays don't ask the system for new pages in every batch."""
+    if sys.platform == "linux":
+        with contextlib.suppress(OSError, AttributeError):
+            library = ctypes.CDLL(None)
+            library.mallopt(_MMAP_THRESHOLD, most // 2)
+            library.mallopt(_TRIM_THRESHOLD, most)
+
+
 def write(docs: DataFrame, folder: str, tokenizer: str, end_id: int = 2, text: str = "text", key: str = "doc_id") -> None:
     """Writes the store of ``docs``.
 
@@ -202,6 +213,7 @@ def write(docs: DataFrame, folder: str, tokenizer: str, end_id: int = 2, text: s
 
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         ids_of, most, pieces = _encoder(tokenizer)
+        _keep_freed(256 << 20)
         try:
             yield from chunked(batches, ids_of, most)
         finally:
