@@ -170,7 +170,9 @@ def _encoder(path: str) -> tuple[Callable[[list[str], int], tuple[np.ndarray, np
         """All ids in one row, each text's followed by the end id, and where each text's begin (and the end)."""
         odd = [not plain or any(s in t for s in special) for t in texts]  # special tokens are found before texts are cut
         if any(odd):
-            own = [whole(t) if o else coder.batch([t])[0] for t, o in zip(texts, odd, strict=True)]
+            ids, at = coder.batch([t for t, o in zip(texts, odd, strict=True) if not o])
+            others = iter(np.split(ids, at[1:-1]))
+            own = [whole(t) if o else next(others) for t, o in zip(texts, odd, strict=True)]
             ids, at = np.concatenate(own), np.concatenate([[0], np.cumsum([len(x) for x in own])])
         else:
             ids, at = coder.batch(texts)
